@@ -112,7 +112,7 @@ RULES = [
 
 
 def op9_url_filter(spark, sf_dir: str) -> DataFrame:
-    rules = spark.createDataFrame(RULES, "host string, path string, verdict string")
+    rules = spark.sql("SELECT * FROM VALUES " + ", ".join(str(r) for r in RULES) + " AS r(host, path, verdict)")
     return judge_urls(spark.read.parquet(f"{sf_dir}/pages.parquet"), rules)
 
 
