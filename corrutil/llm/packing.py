@@ -91,7 +91,7 @@ def _cut(path: str, capacity: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, end = word_ids(path), bytes(4)
         for batch in batches:
-            for part in pieces(batch, "text", 1 << 20):
+            for part in pieces(batch, "text", 4 << 20):
                 row, piece, start, length, crc = [], [], [], [], []
                 for k, t in enumerate(ids(texts(part.column("text")))):
                     t += end

@@ -67,7 +67,7 @@ def _flatten(path: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, end = word_ids(path), np.array([EOD], ">u2").tobytes()
         for batch in batches:
-            for part in pieces(batch, "text", 1 << 20):
+            for part in pieces(batch, "text", 4 << 20):
                 found = ids(texts(part.column("text")))
                 labels = part.column("id").to_pylist()
                 rows = [label_ids(k) + np.frombuffer(x, "<u4").astype(">u2").tobytes() + end for k, x in zip(labels, found, strict=True)]
@@ -160,9 +160,12 @@ def _documents(block_tokens: int, eod: int, pad: int | None):
     return run
 
 
-def count_flat(spark: SparkSession, path: str, *, block_tokens: int = 1 << 19, eod: int = EOD, pad: int | None = PAD_ID) -> DataFrame:
+def count_flat(spark: SparkSession, path: str, *, block_tokens: int = 1 << 19, task_blocks: int = 16, eod: int = EOD, pad: int | None = PAD_ID) -> DataFrame:
     """``file, ordinal, start, label, n_tokens, closed``: a row for each document of the flat files under ``path``."""
-    blocks = list_blocks(spark, path, block_tokens).repartition("file", "block")
+    blocks = list_blocks(spark, path, block_tokens)
+    # A row here stands for a block's bytes, which Spark cannot see: the number of tasks is set from the number of blocks.
+    tasks = max(1, -(-blocks.count() // task_blocks))
+    blocks = blocks.repartition(tasks, "file", "block")
     found = blocks.mapInArrow(_summaries(block_tokens, eod), "file string, size bigint, block bigint, n bigint, last bigint")
     run = F.floor(F.col("block") / RUN).alias("run")
     inner = Window.partitionBy("file", "run").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
@@ -175,7 +178,7 @@ def count_flat(spark: SparkSession, path: str, *, block_tokens: int = 1 << 19, e
         .join(runs, ["file", "run"])
         .select("file", "size", "block", (F.col("in_run") + F.col("run_before")).alias("before"), F.coalesce("in_last", "run_last").alias("open_after"))
     )
-    return stitched.repartition("file", "block").mapInArrow(_documents(block_tokens, eod, pad), "file string, ordinal bigint, start bigint, label bigint, n_tokens bigint, closed boolean")
+    return stitched.repartition(tasks, "file", "block").mapInArrow(_documents(block_tokens, eod, pad), "file string, ordinal bigint, start bigint, label bigint, n_tokens bigint, closed boolean")
 
 
 def op10_token_counts(spark, sf_dir: str) -> DataFrame:
