@@ -30,7 +30,7 @@ from .sample import fold, labelled_sample
 
 #: Bytes that are compressed together.
 BLOCK = 2048
-DICT_BYTES = 48 << 10
+DICT_BYTES = 96 << 10
 LEVEL = 3
 CUT = 0.3
 
@@ -80,23 +80,22 @@ def features(sizers: tuple[Sizer, Sizer], bodies: list[bytes]) -> np.ndarray:
 
 def _design(model: CompressionModel, x: np.ndarray) -> np.ndarray:
     z = np.clip((np.where(np.isnan(x), model.mean, x) - model.mean) / model.spread, -8, 8)
-    return np.column_stack([np.ones(len(z)), z, z[:, 0] * z[:, 1], z[:, 0] ** 2])
+    return np.column_stack([np.ones(len(z)), z, z[:, 0] * z[:, 1], z**2])
 
 
-def fit(samples: list[tuple[int, bytes]], *, ridge: float = 1.0, steps: int = 60) -> CompressionModel:
-    """Half of the sample builds the dictionaries, the other half calibrates."""
+def fit(samples: list[tuple[int, bytes]], *, share: float = 0.5, ridge: float = 1.0, steps: int = 60) -> CompressionModel:
+    """Half of the sample builds the dictionaries, the other half calibrates. ``share``: of label 1 among all labelled rows."""
     sides = {q: [t for y, t in samples if y == q] for q in (0, 1)}
     if not sides[0] or not sides[1]:
-        share = len(sides[1]) / len(samples) if samples else 0.5
-        return CompressionModel(b"", b"", np.zeros(2), np.ones(2), np.zeros(5), share)
+        return CompressionModel(b"", b"", np.zeros(2), np.ones(2), np.zeros(6), share)
     good, bad = _dictionary(sides[1][::2]), _dictionary(sides[0][::2])
     rest = [(q, t) for q in (0, 1) for t in (sides[q][1::2] or sides[q])]
     x, y = features((Sizer(good), Sizer(bad)), [t for _, t in rest]), np.array([q for q, _ in rest], float)
-    model = CompressionModel(good, bad, np.nanmean(x, axis=0), np.maximum(np.nanstd(x, axis=0), 1e-6), np.zeros(5))
+    model = CompressionModel(good, bad, np.nanmean(x, axis=0), np.maximum(np.nanstd(x, axis=0), 1e-6), np.zeros(6))
     d = _design(model, x)
     w = np.zeros(d.shape[1])
-    # The sample holds as many rows of each label as there are, up to the bound; both labels weigh alike.
-    weight = np.where(y == 1, 0.5 / y.mean(), 0.5 / (1 - y.mean()))
+    # The sample is bounded for each label; weights restore the labels' shares.
+    weight = np.where(y == 1, share / y.mean(), (1 - share) / (1 - y.mean()))
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(d @ w, -30, 30)))
         h = d.T @ (d * (weight * p * (1 - p))[:, None]) + ridge * np.eye(len(w))
@@ -135,10 +134,11 @@ def score_quality(docs: DataFrame, model: CompressionModel, *, text_col: str = "
     return docs.select(*dict.fromkeys([*keep, text_col])).mapInArrow(_scorer(shared, text_col, keep), f"{schema}__score double")
 
 
-def fit_on(docs: DataFrame, labels: DataFrame, *, label: str = "quality", per_label_rows: int = 1500) -> CompressionModel:
+def fit_on(docs: DataFrame, labels: DataFrame, *, label: str = "quality", per_label_rows: int = 1000) -> CompressionModel:
     """Learned from labelled documents outside the held-out fold (crc32 of the id modulo 5 is 0)."""
     learn = labels.where((fold(F.col("doc_id"), 5) != 0) & F.col(label).isin(0, 1)).select("doc_id", F.col(label).cast("int").alias(label))
-    return fit([(int(q), bytes(t)) for q, t in labelled_sample(docs, learn, label, per_label_rows).toLocalIterator()])
+    share = learn.agg(F.avg(label)).first()[0]
+    return fit([(int(q), bytes(t)) for q, t in labelled_sample(docs, learn, label, per_label_rows).toLocalIterator()], share=0.5 if share is None else share)
 
 
 def op3_quality(spark, sf_dir: str) -> DataFrame:
