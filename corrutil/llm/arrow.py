@@ -37,6 +37,8 @@ def pieces(batch: pa.RecordBatch, column: str, limit: int) -> Iterator[pa.Record
         stop = max(start + 1, int(np.searchsorted(ends, base + limit, side="right")))
         yield batch.slice(start, stop - start)
         start = stop
+    # Two workers share an executor's memory with its JVM: what a batch took goes back at once.
+    pa.default_memory_pool().release_unused()
 
 
 def keyed(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:

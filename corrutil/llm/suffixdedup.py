@@ -40,7 +40,6 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark import StorageLevel  # noqa: F401  (documents that nothing here is cached)
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -52,7 +51,7 @@ CORE = LENGTH - WINDOW + 1
 #: Most different reaches of one core that a task gathers, and rows it merges at once.
 CROWD, CHUNK = 20_000, 20_000
 #: Bytes of texts that are hashed at once; the low bits of a key hold a place among them.
-PART, PLACE_BITS = 1 << 22, 30
+PART, PLACE_BITS = 1 << 20, 30
 
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
