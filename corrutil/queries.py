@@ -200,7 +200,7 @@ def _recommend(spark: SparkSession, sf: str) -> DataFrame:
     return analysis.recommend(_p3(spark, sf), two, 5)
 
 
-_add("recommend_w3", _recommend, _chu + ", v AS (SELECT list(item) AS have FROM (SELECT item FROM o ORDER BY item LIMIT 2)), q AS (SELECT utility, kulc, list_filter(items, lambda x: NOT list_contains((SELECT have FROM v), x)) AS rest FROM m WHERE k > 1) SELECT rest[1] AS item, max(utility) AS utility, max(kulc) AS kulc FROM q WHERE len(rest) = 1 GROUP BY 1 ORDER BY utility DESC, kulc DESC, item LIMIT 5")
+_add("recommend_w3", _recommend, _chu + ", v AS (SELECT list(item) AS have FROM (SELECT item FROM o ORDER BY item LIMIT 2)), q AS (SELECT utility, kulc, list_filter(items, lambda x: NOT list_contains(have, x)) AS rest FROM m, v WHERE k > 1) SELECT rest[1] AS item, max(utility) AS utility, max(kulc) AS kulc FROM q WHERE len(rest) = 1 GROUP BY 1 ORDER BY utility DESC, kulc DESC, item LIMIT 5")
 _add(
     "measures_w3",
     lambda s, d: ops.interest_measures(VIEWS["w3"](s, d), _p3(s, d)),
@@ -233,13 +233,18 @@ def _located(spark: SparkSession, sf: str) -> DataFrame:
 
 
 _located_sql = f"WITH x AS (SELECT v.tid, v.item, v.u, r_name AS region, c_mktsegment AS segment FROM ({VIEW_SQL['w3']}) v JOIN orders ON tid = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey) SELECT region, segment, item, CAST(sum(u) AS BIGINT) AS u, count(*) AS n FROM x GROUP BY "
-_sums = (F.sum("u").cast("bigint").alias("u"), F.count(F.lit(1)).alias("n"))
-_add("utility_rollup", lambda s, d: _located(s, d).rollup("region", "segment", "item").agg(*_sums), _located_sql + "ROLLUP (region, segment, item)")
-_add("utility_cube", lambda s, d: _located(s, d).cube("region", "segment", "item").agg(*_sums), _located_sql + "CUBE (region, segment, item)")
+
+
+def _sums() -> list:
+    return [F.sum("u").cast("bigint").alias("u"), F.count(F.lit(1)).alias("n")]
+
+
+_add("utility_rollup", lambda s, d: _located(s, d).rollup("region", "segment", "item").agg(*_sums()), _located_sql + "ROLLUP (region, segment, item)")
+_add("utility_cube", lambda s, d: _located(s, d).cube("region", "segment", "item").agg(*_sums()), _located_sql + "CUBE (region, segment, item)")
 
 
 def _sets(spark: SparkSession, sf: str) -> DataFrame:
-    return _located(spark, sf).groupingSets([["region", "item"], ["segment", "item"], []], "region", "segment", "item").agg(*_sums).select("region", "segment", "item", "u", "n")
+    return _located(spark, sf).groupingSets([["region", "item"], ["segment", "item"], []], "region", "segment", "item").agg(*_sums()).select("region", "segment", "item", "u", "n")
 
 
 _add("utility_sets", _sets, _located_sql + "GROUPING SETS ((region, item), (segment, item), ())")
