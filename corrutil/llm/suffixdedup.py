@@ -353,15 +353,11 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     long = keyed_docs.where(F.octet_length("text") >= LENGTH)
     who = "doc_id bigint, mark bigint"
     found = written(long.mapInArrow(_anchor_rows, f"{who}, place int, low int, high int, core bigint, reach bigint"), "anchors")
-    cores = found.groupBy("core").agg(F.count(F.lit(1)).alias("n"), F.min("reach").alias("r0"), F.max("reach").alias("r1")).where("n > 1")
-    shared = written(found.join(cores.select("core", (F.col("r0") == F.col("r1")).alias("whole")), "core"), "shared-anchors")
+    cores = found.groupBy("core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("core")
+    shared = written(found.join(cores, "core", "left_semi"), "shared-anchors")
     discard(found)
-    whole_reach = lambda rows: rows.select("doc_id", "mark", F.col("low").alias("start"), (F.col("high") + LENGTH).alias("stop"))
-    certain = whole_reach(shared.where("whole"))
-
-    mixed = shared.where("not whole")
-    reaches = written(mixed.groupBy("core", "reach").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "place", "low", "high")).alias("at")), "reaches")
-    certain = certain.unionByName(whole_reach(mixed.join(reaches.where("n > 1").select("core", "reach"), ["core", "reach"], "left_semi")))
+    reaches = written(shared.groupBy("core", "reach").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "place", "low", "high")).alias("at")), "reaches")
+    certain = shared.join(reaches.where("n > 1").select("core", "reach"), ["core", "reach"], "left_semi").select("doc_id", "mark", F.col("low").alias("start"), (F.col("high") + LENGTH).alias("stop"))
     open_cores = reaches.groupBy("core").agg(F.min("n").alias("least"), F.count(F.lit(1)).alias("kinds")).where("least = 1").select("core", (F.col("kinds") > crowd).alias("crowd"))
     wanted = (
         reaches.join(open_cores, "core")
