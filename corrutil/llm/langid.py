@@ -105,7 +105,7 @@ def fit(samples: dict[str, list[bytes]], *, order: int = 3, least: int = 24) ->
     node[:] = parents
     p = np.concatenate(table)
     cost = np.minimum(np.round(-np.log2(np.maximum(p, 1e-30)) * UNIT), 30000).astype(np.int16)
-    return ContextTrees(languages, symbol, np.round(rare * UNIT).astype(np.int32), node, np.ascontiguousarray(cost.transpose(0, 2, 1).reshape(-1, len(languages))), order)
+    return ContextTrees(languages, symbol, np.round(rare * UNIT).astype(np.int32), node, np.ascontiguousarray(cost.transpose(0, 2, 1).reshape(len(p) * SIZE, len(languages))), order)
 
 
 def _escape(counts: np.ndarray, shorter: np.ndarray) -> np.ndarray:

@@ -5,7 +5,7 @@ hash to partitions of about ``target_tokens``. Each partition is packed by best-
 decreasing. Dual feasible functions bound from below how many bins its pieces need; if
 the bound equals the count, the partition is certified: no packing of it is
 better. Partitions with a gap release their bins that are not full, certified ones
-the at most one bin that is no more than half full (what rounding up each partition costs).
+their emptiest bin (what rounding up each partition costs).
 Released documents are exchanged: whole bins are dealt to fewer, new partitions
 and packed again, and each such partition keeps the better of its old and its new bins.
 Rounds go on until one partition is left or nothing is released.
@@ -128,7 +128,7 @@ def _pack(turn: int, capacity: int):
                     ids, offsets = old, group.column("offset").to_numpy()
                     bins, left = where, capacity - np.bincount(where, lengths).astype(np.int64)
             gap = len(left) - bound
-            free = (left > 0) if gap else (2 * left >= capacity)
+            free = (left > 0) if gap else (left > 0) & (np.arange(len(left)) == left.argmax())
             keep = [k for k in group.schema.names if k not in ("sequence_id", "offset", "released", "bins", "bound")]
             table = pa.table([group.column(k) for k in keep] + [pa.array(ids, pa.int64()), pa.array(offsets, pa.int64()), pa.array(free[bins], pa.bool_()), pa.array(np.full(len(lengths), len(left)), pa.int64()), pa.array(np.full(len(lengths), bound), pa.int64())], names=[*keep, "sequence_id", "offset", "released", "bins", "bound"])
             yield from table.combine_chunks().to_batches(max_chunksize=50_000)
