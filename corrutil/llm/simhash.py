@@ -39,23 +39,33 @@ SHINGLE, SEED, RADIUS = 3, 42, 2
 PIVOTS = np.array([xxhash.xxh64_intdigest(f"pivot {i}".encode(), seed=SEED) for i in range(16)], np.uint64)
 
 
-def fingerprint(text: bytes, words: int = SHINGLE) -> int:
+def shingle_hashes(text: bytes, words: int = SHINGLE) -> list[int]:
+    """Hashes of the word shingles in their order, repeats included."""
     found = text.lower().split()
     if not found:
-        return 0
+        return []
+    joined = b" ".join(found)
+    digest = xxhash.xxh64_intdigest
     if len(found) <= words:
-        h = [xxhash.xxh64_intdigest(b" ".join(found), SEED)]
-    else:
-        joined = b" ".join(found)
-        ends = np.cumsum(np.fromiter(map(len, found), np.int64, len(found)) + 1) - 1
-        starts = np.r_[0, ends[: -words] + 1].tolist()
-        digest = xxhash.xxh64_intdigest
-        h = [digest(joined[a:b], SEED) for a, b in zip(starts, ends[words - 1 :].tolist(), strict=True)]
+        return [digest(joined, SEED)]
+    ends = np.cumsum(np.fromiter(map(len, found), np.int64, len(found)) + 1) - 1
+    starts = np.r_[0, ends[: -words] + 1].tolist()
+    return [digest(joined[a:b], SEED) for a, b in zip(starts, ends[words - 1 :].tolist(), strict=True)]
+
+
+def majority(hashes: list[int] | np.ndarray) -> int:
+    """Bits that are set in over half of the hashes."""
+    if not len(hashes):
+        return 0
     bits = np.zeros(64, np.int64)
-    hashes = np.array(h, ">u8")
-    for a in range(0, len(h), 8192):
-        bits += np.unpackbits(hashes[a : a + 8192].view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
-    return int.from_bytes(np.packbits(2 * bits > len(h)).tobytes(), "big")
+    wide = np.array(hashes, np.uint64).astype(">u8")
+    for a in range(0, len(wide), 8192):
+        bits += np.unpackbits(wide[a : a + 8192].view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
+    return int.from_bytes(np.packbits(2 * bits > len(wide)).tobytes(), "big")
+
+
+def fingerprint(text: bytes, words: int = SHINGLE) -> int:
+    return majority(shingle_hashes(text, words))
 
 
 def _fingerprints(words: int):

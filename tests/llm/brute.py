@@ -104,3 +104,25 @@ def urls(rows: list[tuple[int, str | None]], rules: list[tuple[str, str, str]])
         best = max(fits, default=(0, None, "allow"))
         out.append((i, host, path, best[1], best[2]))
     return out
+
+
+def shingles(text: str | None, n: int = 5) -> frozenset:
+    words = (text or "").encode().lower().split()
+    return frozenset(b" ".join(words[i : i + n]) for i in range(max(len(words) - n + 1, min(len(words), 1))))
+
+
+def similar_groups(rows: list[tuple[int | None, str | None]], least: float = 0.8) -> list[tuple[int | None, int | None]]:
+    """Each row's id and the smallest id reachable, by comparing the shingle sets of all pairs."""
+    sets = [shingles(t) for _, t in rows]
+    name = list(range(len(rows)))
+    for i in range(len(rows)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if name[i] != name[j] and both >= least * (len(sets[i]) + len(sets[j]) - both) - 1e-9:
+                old, new = name[i], name[j]
+                name = [new if x == old else x for x in name]
+    ids = defaultdict(list)
+    for (i, _), c in zip(rows, name, strict=True):
+        if i is not None:
+            ids[c].append(i)
+    return [(i, min(ids[c], default=None)) for (i, _), c in zip(rows, name, strict=True)]
