@@ -43,7 +43,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .arrow import keyed, pieces, raw
+from .arrow import bounded_batches, keyed, pieces, raw
 from .scratch import discard, release, written
 
 LENGTH, GRAM, WINDOW = 400, 16, 256
@@ -349,6 +349,7 @@ def _keyed_docs(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", crowd: int = CROWD) -> DataFrame:
     """``doc_id, mark, start, stop``: byte spans to remove (they overlap); mark is the hash of the text."""
     spark = docs.sparkSession
+    bounded_batches(spark)
     keyed_docs = _keyed_docs(docs, id_col, text_col)
     long = keyed_docs.where(F.octet_length("text") >= LENGTH)
     who = "doc_id bigint, mark bigint"
