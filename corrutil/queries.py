@@ -268,8 +268,7 @@ _add("stream_window_baskets", lambda s, d: streaming.window_baskets(_events(s, d
 
 
 def _window_mine(spark: SparkSession, sf: str) -> DataFrame:
-    rows = streaming.window_baskets(_events(spark, sf)).where("start < timestamp '2024-01-04'")
-    return streaming.mine_windows(rows, "0.05", "0.3")
+    return streaming.mine_windows(streaming.window_baskets(_events(spark, sf)), "0.05", "0.3")
 
 
 _add("stream_window_mine", _window_mine, f"""WITH RECURSIVE b AS MATERIALIZED (SELECT date_trunc('day', ts) AS g, user_id AS tid, event_type AS item, {_c} AS u {_ev} AND ts < TIMESTAMP '2024-01-04' GROUP BY 1, 2, 3),

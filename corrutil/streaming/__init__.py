@@ -12,8 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import cents
-from ..plans.levels import mine
-from ..types import Basket
+from ..plans.keyed import mine_keyed
 
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 
@@ -52,13 +51,9 @@ def window_baskets(events: DataFrame, *, size: str = "1 day", late: str = "1 hou
     return valid(events).withWatermark("ts", late).groupBy(F.window("ts", size).alias("w"), "user_id", F.col("event_type").alias("item")).agg(F.sum(cents("value")).alias("u")).select(F.col("w.start").alias("start"), F.col("user_id").alias("tid"), "item", "u")
 
 
-def mine_windows(rows: DataFrame, min_util, min_cor) -> DataFrame:
-    """``start, pattern, ...`` of each window in ``rows``; windows are few in one batch, and each is one run."""
-    out = None
-    for (start,) in rows.select("start").distinct().orderBy("start").collect():
-        found = mine(Basket(rows.where(F.col("start") == F.lit(start)).select("tid", "item", "u")), min_util, min_cor).patterns.withColumn("start", F.lit(start))
-        out = found if out is None else out.unionByName(found)
-    return out
+def mine_windows(rows: DataFrame, min_util, min_cor) -> DataFrame | None:
+    """``start, pattern, ...`` of each window in ``rows``, all windows in one run; None without rows."""
+    return None if rows.isEmpty() else mine_keyed(rows, "start", min_util, min_cor)
 
 
 def window_miner(sink: Callable[[DataFrame, int], None], min_util, min_cor) -> Callable[[DataFrame, int], None]:
