@@ -103,9 +103,9 @@ _add("pair_kulc_w3", _pair_kulc, _pair + f" SELECT x, y, sup, round(v, 6) AS kul
 # The correlated miner on every view
 MINED = {
     "mine_w1": ("w1", "0.0001", "0.05", {}, None), "mine_w2": ("w2", "0.005", "0.1", {}, None), "mine_w3": ("w3", "0.01", "0.2", {}, None), "mine_w3_all": ("w3", "0.01", "0", {}, None),
-    "mine_w4": ("w4", "0.07", "0.65", {"max_k": 3}, 3), "mine_w5": ("w5", "0.0005", "0.03", {}, None), "mine_w6": ("w6", "0.001", "0.05", {}, None), "mine_w7": ("w7", "0.004", "0.2", {}, None),
-    "mine_w8": ("w8", "0.03", "0.8", {"max_k": 3}, 3), "mine_w9": ("w9", "0.001", "0.1", {}, None), "tags_w10": ("w10", "0.1", "0.5", {"max_k": 2}, 2), "conv_w11": ("w11", "0.02", "0.5", {"max_k": 3}, 3),
-    "labels_w12": ("w12", "0.01", "0.1", {"max_k": 4}, 4), "bench_w13": ("w13", "0.01", "0.2", {"max_k": 3}, 3),
+    "mine_w4": ("w4", "0.07", "0.65", {}, 3), "mine_w5": ("w5", "0.0005", "0.03", {}, None), "mine_w6": ("w6", "0.001", "0.05", {}, None), "mine_w7": ("w7", "0.004", "0.2", {}, None),
+    "mine_w8": ("w8", "0.03", "0.8", {}, 3), "mine_w9": ("w9", "0.001", "0.1", {}, None), "tags_w10": ("w10", "0.1", "0.5", {}, 2), "conv_w11": ("w11", "0.02", "0.5", {}, 3),
+    "labels_w12": ("w12", "0.01", "0.1", {}, 4), "bench_w13": ("w13", "0.01", "0.2", {}, 3),
     "mine_levels_w1": ("w1", "0.0001", "0.05", {"plan": "levels"}, None), "mine_levels_w3": ("w3", "0.01", "0.2", {"plan": "levels"}, None),
     "mine_prefix_w1": ("w1", "0.0001", "0.05", {"plan": "prefix"}, None), "mine_prefix_w3": ("w3", "0.01", "0.2", {"plan": "prefix"}, None), "mine_hybrid_w2": ("w2", "0.002", "0.15", {"plan": "auto"}, None),
     "mine_la_prefix_start_w3": ("w3", "0.01", "0.2", {"la_start": "prefix", "plan": "levels"}, None), "mine_sibling_filter_w3": ("w3", "0.01", "0.2", {"sibling_filter": True}, None),
@@ -115,7 +115,7 @@ for _name, (_v, _u, _c, _how, _k) in MINED.items():
     _add(_name, _mined(_v, _u, _c, **_how), mined_sql(_v, _u, _c, _k))
 for _variant in ("ubu", "ubu_spk", "ubu_la", "all"):
     _add(f"variant_{_variant}_w3", lambda s, d, n=_variant: mine_variant(VIEWS["w3"](s, d), "0.01", "0.3", n).patterns, mined_sql("w3", "0.01", "0.3"))
-    _add(f"variant_{_variant}_w2", lambda s, d, n=_variant: mine_variant(VIEWS["w2"](s, d), "0.005", "0.1", n, max_k=3).patterns, mined_sql("w2", "0.005", "0.1", 3))
+    _add(f"variant_{_variant}_w2", lambda s, d, n=_variant: mine_variant(VIEWS["w2"](s, d), "0.005", "0.1", n).patterns, mined_sql("w2", "0.005", "0.1", 3))
 
 
 def _effort(spark: SparkSession, sf: str) -> DataFrame:
