@@ -415,12 +415,17 @@ def _remove(keep: list[str], digest: bool):
     return run
 
 
-def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", digest: bool = False, crowd: int = CROWD) -> DataFrame:
+def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", digest: bool = False, crowd: int = CROWD, words: int | None = None) -> DataFrame:
     """All columns of ``docs`` but the text, ``n_bytes, n_removed, n_spans`` and ``kept``: the bytes left, as text or SHA-256.
 
-    As text, characters that a removed span cuts in two are dropped.
+    As text, characters that a removed span cuts in two are dropped. With ``words``, repeated
+    passages of so many words go too, also those shorter than ``LENGTH``.
     """
     spans = repeated_spans(docs, id_col=id_col, text_col=text_col, crowd=crowd)
+    if words is not None:
+        from .passages import repeated_passages
+
+        spans = spans.unionByName(repeated_passages(docs, words, id_col=id_col, text_col=text_col))
     by_doc = spans.groupBy("doc_id", "mark").agg(F.collect_set(F.struct("start", "stop")).alias("spans")).withColumnRenamed("doc_id", "__d").withColumnRenamed("mark", "__m")
     keep = [c for c in docs.columns if c != text_col]
     rows = docs.select(*(F.col(c).alias(f"k_{i}") for i, c in enumerate(keep)), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), F.col(id_col).cast("bigint").alias("__id")).withColumn("mark", F.xxhash64("text"))
