@@ -91,7 +91,7 @@ def write_flat(docs: DataFrame, path: str, *, tokenizer: str | None = None, id_c
 
 def list_blocks(spark: SparkSession, path: str, block_tokens: int) -> DataFrame:
     """``file, size, block`` without reading any content."""
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select(F.col("path").alias("file"), (F.col("length") / WIDTH).cast("bigint").alias("size"))
+    files = spark.read.format("binaryFile").load(path).select(F.col("path").alias("file"), (F.col("length") / WIDTH).cast("bigint").alias("size"))
     n = F.ceil(F.col("size") / block_tokens)
     return files.where("size > 0").select("file", "size", F.explode(F.sequence(F.lit(0).cast("bigint"), n - 1)).alias("block"))
 

@@ -177,7 +177,7 @@ def write_archives(pages: DataFrame, path: str, *, id_col: str = "page_id", url_
 
 def read_archives(spark: SparkSession, path: str, *, payload: bool = True) -> DataFrame:
     """The records of all archives under ``path``; with ``payload`` also url and payload."""
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path).select("content")
+    files = spark.read.format("binaryFile").load(path).select("content")
     listed = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint"
     if not payload:
         return files.mapInArrow(_listing, listed)
