@@ -378,7 +378,7 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
         .mapInArrow(_merge, f"{who}, start int, stop int")
     )
     strings = written(contexts.where("crowd").mapInArrow(_all_strings, "core bigint, doc_id bigint, mark bigint, place int, alone boolean, step int, digest bigint"), "strings")
-    again = strings.groupBy("core", "step", "digest").agg(F.countDistinct("doc_id", "mark", "place").alias("n")).where("n > 1").select("core", "step", "digest")
+    again = strings.groupBy("core", "step", "digest").agg(F.countDistinct(F.struct("doc_id", "mark", "place")).alias("n")).where("n > 1").select("core", "step", "digest")
     crowded = strings.where("alone").join(again, ["core", "step", "digest"], "left_semi").select("doc_id", "mark", (F.col("place") - F.col("step")).alias("start"), (F.col("place") - F.col("step") + LENGTH).alias("stop"))
     return certain.unionByName(merged).unionByName(crowded)
 
