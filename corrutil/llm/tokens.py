@@ -7,6 +7,7 @@ different parts of a batch of texts; a worker keeps the ids of those it has met,
 ``KEPT`` of them, and asks the tokenizer only for new ones. Of a new part, a closing run of
 ASCII punctuation behind an ASCII letter is a part of its own. What is then words of
 small Latin letters alone needs no normalising and goes straight to the tokenizer's model.
+The tokenizer's special strings, as written, are one id each; texts are divided at them before all else.
 """
 
 from __future__ import annotations
@@ -48,6 +49,11 @@ class WordIds:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        # Special strings count as they are written, before any normalising: texts are divided at them first. What
+        # becomes one only by lowering is plain text, and is kept so in the parts.
+        special = {a.content: i for i, a in self.tokenizer.get_added_tokens_decoder().items() if a.special}
+        self.special = {t.encode(): np.array([i], "<u4").tobytes() for t, i in special.items()}
+        self.divide = re.compile(b"(" + b"|".join(re.escape(t) for t in sorted(self.special, key=len, reverse=True)) + b")") if special else None
         self.tokenizer.encode_special_tokens = True
         self.model = self.tokenizer.model
         self.shown = byte_characters()
@@ -78,6 +84,15 @@ class WordIds:
             known[w] = known[letters] + known[marks]
 
     def __call__(self, bodies: list[bytes]) -> list[bytes]:
+        """The ids of each text."""
+        if self.divide is None or not any(map(self.divide.search, bodies)):
+            return self.plain(bodies)
+        divided = [self.divide.split(t) for t in bodies]
+        ids = iter(self.plain([t for d in divided for t in d[::2]]))
+        return [b"".join(self.special[t] if i % 2 else next(ids) for i, t in enumerate(d)) for d in divided]
+
+    def plain(self, bodies: list[bytes]) -> list[bytes]:
+        """The ids of texts without special strings."""
         lowered = pa.array([t.lower().replace(b"\n", b" ") for t in bodies], pa.large_binary())
         parts = pc.split_pattern(lowered, b" ")
         coded = parts.values.dictionary_encode()

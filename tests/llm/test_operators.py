@@ -81,7 +81,6 @@ def test_packing_and_token_counts(docs, empty, spark):
     from corrutil.llm.tokens import tokenizer_path
 
     tokenizer = Tokenizer.from_file(tokenizer_path())
-    tokenizer.encode_special_tokens = True
     want = sorted((x for r in rows() for x in brute.piece_rows(r[0], r[1], tokenizer)), key=str)
     cut = packing.cut_pieces(docs).cache()
     assert tuples(cut, "doc_id", "piece", "start", "length", "ids_crc32") == want

@@ -100,7 +100,6 @@ def test_all_stages_in_order(spark, sf_dir):
     for _, stage in cp.STAGES[:-1]:
         docs = spark.createDataFrame(stage(spark, docs, sf_dir).collect(), "doc_id bigint, text string, lang string, source string, n_chars bigint")
     tokenizer = Tokenizer.from_file(tokenizer_path())
-    tokenizer.encode_special_tokens = True
     want = sorted((x for r in docs.collect() for x in brute.piece_rows(r["doc_id"], r["text"], tokenizer)), key=str)
     packed = cp.run(spark, sf_dir).collect()
     assert sorted((tuple(r)[:5] for r in packed), key=str) == want
