@@ -8,6 +8,11 @@ anchor of a string is fixed by its first ``WINDOW + GRAM - 1`` bytes, so equal
 strings have the same anchor at the same distance, and every comparison can start
 there. ``CORE`` bytes from an anchor on belong to every string that it anchors.
 
+*Chunks.* Anchors in a row form chunks that end where a core's hash says so (one in ``CHUNK_ANCHORS``),
+so copies of a passage have the same chunks inside. A chunk whose bytes (128-bit hash) occur elsewhere is
+repeated as a whole; only one place of it, the least, keeps its anchors, so what follows
+sees each repeated text once, however many copies there are.
+
 *Certified anchors.* An anchor's whole reach (first byte of its first string to last byte
 of its last) repeated elsewhere proves all its strings repeated. Two hashes of 64
 bits, of the core and of the reach, are counted by a partial aggregate; most anchors end
@@ -48,6 +53,7 @@ from .scratch import discard, release, written
 
 LENGTH, GRAM, WINDOW = 400, 16, 256
 CORE = LENGTH - WINDOW + 1
+CHUNK_ANCHORS = 4
 #: Most different reaches of one core that a task gathers, and rows it merges at once.
 CROWD, CHUNK = 20_000, 20_000
 #: Bytes of texts that are hashed at once; the low bits of a key hold a place among them.
@@ -106,6 +112,8 @@ def anchors(data: np.ndarray, at: np.ndarray) -> dict[str, np.ndarray]:
     n = len(data)
     if n < LENGTH:
         return {k: np.zeros(0, np.int64) for k in names}
+    if n >> PLACE_BITS:
+        raise ValueError(f"a text of {n} bytes: places are counted up to {1 << PLACE_BITS}")
     one, two = _hash("one"), _hash("two")
     first = one.prefix(data)
     key = first[GRAM:] - first[:-GRAM]
@@ -143,15 +151,30 @@ def anchors(data: np.ndarray, at: np.ndarray) -> dict[str, np.ndarray]:
     return {"text": text, "place": place - base, "low": low - base, "high": high - base, "core": core.view(np.int64), "reach": reach.view(np.int64)}
 
 
-def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _chunk_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row for each chunk: its two hashes, first and last start of its strings, and its anchors."""
+    one, two = _hash("one"), _hash("two")
     for batch in batches:
         for part in pieces(batch, "text", PART):
+            data, at = raw(part.column("text"))
             with np.errstate(over="ignore"):
-                found = anchors(*raw(part.column("text")))
-            take = pa.array(found["text"], pa.int64())
+                found = anchors(data, at)
+                n = len(found["text"])
+                if not n:
+                    continue
+                text, low, high = found["text"], found["low"], found["high"]
+                closing = found["core"].view(np.uint64) % np.uint64(CHUNK_ANCHORS) == 0
+                head = np.flatnonzero(np.r_[True, (text[1:] != text[:-1]) | closing[:-1]])
+                last = np.r_[head[1:], n] - 1
+                base = at[text[head]]
+                a, b = base + low[head], base + high[last] + LENGTH
+                x, y = one.span(one.prefix(data), a, b).view(np.int64), two.span(two.prefix(data), a, b).view(np.int64)
+            take = pa.array(text[head], pa.int64())
+            fields = [pa.array(found[k].astype(np.int32), pa.int32()) for k in ("place", "low", "high")] + [pa.array(found[k], pa.int64()) for k in ("core", "reach")]
+            members = pa.ListArray.from_arrays(pa.array(np.r_[head, n].astype(np.int32)), pa.StructArray.from_arrays(fields, ["place", "low", "high", "core", "reach"]))
             yield pa.RecordBatch.from_arrays(
-                [part.column("doc_id").take(take), part.column("mark").take(take), *(pa.array(found[k].astype(np.int32), pa.int32()) for k in ("place", "low", "high")), *(pa.array(found[k], pa.int64()) for k in ("core", "reach"))],
-                ["doc_id", "mark", "place", "low", "high", "core", "reach"],
+                [part.column("doc_id").take(take), part.column("mark").take(take), pa.array(x), pa.array(y), pa.array(low[head].astype(np.int32)), pa.array(high[last].astype(np.int32)), members],
+                ["doc_id", "mark", "x", "y", "first", "last", "anchors"],
             )
 
 
@@ -353,11 +376,20 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     keyed_docs = _keyed_docs(docs, id_col, text_col)
     long = keyed_docs.where(F.octet_length("text") >= LENGTH)
     who = "doc_id bigint, mark bigint"
-    found = written(long.mapInArrow(_anchor_rows, f"{who}, place int, low int, high int, core bigint, reach bigint"), "anchors")
-    cores = found.groupBy("core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("core")
-    shared = written(found.join(cores, "core", "left_semi"), "shared-anchors")
-    discard(found)
-    reaches = written(shared.groupBy("core", "reach").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "place", "low", "high")).alias("at")), "reaches")
+    chunks = written(long.mapInArrow(_chunk_rows, f"{who}, x bigint, y bigint, first int, last int, anchors array<struct<place:int,low:int,high:int,core:bigint,reach:bigint>>"), "chunks")
+    # Copies are counted where they are before they are shuffled; the least place of a repeated chunk stands for all.
+    again = chunks.groupBy("x", "y").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "first")).alias("least")).where("n > 1").select("x", "y", "least")
+    placed = chunks.join(again, ["x", "y"], "left")
+    mine = F.col("least").isNull() | F.col("least").eqNullSafe(F.struct("doc_id", "mark", "first"))
+    found = written(
+        placed.select("doc_id", "mark", "first", "last", F.col("least").isNotNull().alias("repeated"), F.when(mine, F.col("anchors")).alias("anchors")), "anchors")
+    discard(chunks)
+    copied = found.where("repeated").select("doc_id", "mark", F.col("first").alias("start"), (F.col("last") + LENGTH).alias("stop"))
+    each = found.where("anchors IS NOT NULL").select("doc_id", "mark", "repeated", F.explode("anchors").alias("e")).select("doc_id", "mark", "repeated", "e.*")
+    cores = each.groupBy("core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("core")
+    shared = written(each.join(cores, "core", "left_semi"), "shared-anchors")
+    # An anchor of a repeated chunk stands for more than one place.
+    reaches = written(shared.groupBy("core", "reach").agg(F.sum(F.when(F.col("repeated"), 2).otherwise(1)).alias("n"), F.min(F.struct("doc_id", "mark", "place", "low", "high")).alias("at")), "reaches")
     certain = shared.join(reaches.where("n > 1").select("core", "reach"), ["core", "reach"], "left_semi").select("doc_id", "mark", F.col("low").alias("start"), (F.col("high") + LENGTH).alias("stop"))
     open_cores = reaches.groupBy("core").agg(F.min("n").alias("least"), F.count(F.lit(1)).alias("kinds")).where("least = 1").select("core", (F.col("kinds") > crowd).alias("crowd"))
     wanted = (
@@ -380,7 +412,7 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     strings = written(contexts.where("crowd").mapInArrow(_all_strings, "core bigint, doc_id bigint, mark bigint, place int, alone boolean, step int, digest bigint"), "strings")
     again = strings.groupBy("core", "step", "digest").agg(F.countDistinct(F.struct("doc_id", "mark", "place")).alias("n")).where("n > 1").select("core", "step", "digest")
     crowded = strings.where("alone").join(again, ["core", "step", "digest"], "left_semi").select("doc_id", "mark", (F.col("place") - F.col("step")).alias("start"), (F.col("place") - F.col("step") + LENGTH).alias("stop"))
-    return certain.unionByName(merged).unionByName(crowded)
+    return copied.unionByName(certain).unionByName(merged).unionByName(crowded)
 
 
 def _joined(spans: np.ndarray) -> list[tuple[int, int]]:
@@ -408,17 +440,18 @@ def _remove(keep: list[str], digest: bool):
                     runs = _joined(mine) if len(mine) else []
                     cuts = [0, *(x for r in runs for x in r), len(body)]
                     left = b"".join(body[a:b] for a, b in zip(cuts[::2], cuts[1::2], strict=True))
-                    rows.append((len(body), len(body) - len(left), len(runs), hashlib.sha256(left).hexdigest() if digest else left.decode("utf-8", "ignore")))
-                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string()]
-                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keep), *(pa.array(c, t) for c, t in zip(list(zip(*rows, strict=True)) or [[]] * 4, kinds, strict=True))], [*keep, "n_bytes", "n_removed", "n_spans", "kept"])
+                    rows.append((len(body), len(body) - len(left), len(runs), hashlib.sha256(left).hexdigest() if digest else left.decode("utf-8", "ignore"), left.decode("utf-8", "ignore") if digest else None))
+                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+                columns = [pa.array(c, t) for c, t in zip(list(zip(*rows, strict=True)) or [[]] * 5, kinds, strict=True)]
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keep), *(columns if digest else columns[:4])], [*keep, "n_bytes", "n_removed", "n_spans", "kept", *(["rest"] if digest else [])])
 
     return run
 
 
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", digest: bool = False, crowd: int = CROWD, words: int | None = None) -> DataFrame:
-    """All columns of ``docs`` but the text, ``n_bytes, n_removed, n_spans`` and ``kept``: the bytes left, as text or SHA-256.
+    """All columns of ``docs`` but the text, ``n_bytes, n_removed, n_spans`` and ``kept``: the bytes left, as text or, with ``digest``, SHA-256.
 
-    As text, characters that a removed span cuts in two are dropped. With ``words``, repeated
+    With ``digest`` the text follows with what is left of it. As text, characters that a removed span cuts in two are dropped. With ``words``, repeated
     passages of so many words go too, also those shorter than ``LENGTH``.
     """
     spans = repeated_spans(docs, id_col=id_col, text_col=text_col, crowd=crowd)
@@ -432,8 +465,9 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     names = [f"k_{i}" for i in range(len(keep))]
     joined = rows.join(by_doc, F.col("__id").eqNullSafe(F.col("__d")) & (F.col("mark") == F.col("__m")), "left").select(*names, "text", "spans")
     schema = "".join(f"k_{i} {docs.schema[c].dataType.simpleString()}, " for i, c in enumerate(keep))
-    out = joined.mapInArrow(_remove(names, digest), f"{schema}n_bytes bigint, n_removed bigint, n_spans bigint, kept string")
-    return out.select(*(F.col(n).alias(c) for n, c in zip(names, keep, strict=True)), "n_bytes", "n_removed", "n_spans", "kept")
+    out = joined.mapInArrow(_remove(names, digest), f"{schema}n_bytes bigint, n_removed bigint, n_spans bigint, kept string" + (", rest string" if digest else ""))
+    more = [F.col("rest").alias(text_col)] if digest else []
+    return out.select(*(F.col(n).alias(c) for n, c in zip(names, keep, strict=True)), "n_bytes", "n_removed", "n_spans", "kept", *more)
 
 
 def op4_suffix_dedup(spark, sf_dir: str) -> DataFrame:
