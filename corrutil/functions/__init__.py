@@ -42,6 +42,11 @@ def cosine(sup: Column | str, log_item_sup: Column | str, k: Column | str) -> Co
     return _col(sup) / F.exp(_col(log_item_sup) / _col(k))
 
 
+def lift(sup: Column | str, log_item_sup: Column | str, k: Column | str, transactions: Column | str) -> Column:
+    """Support over what independent items would have."""
+    return F.exp(F.log(_col(sup).cast("double")) + (_col(k) - 1) * F.log(_col(transactions).cast("double")) - _col(log_item_sup))
+
+
 def confidence(sup: Column | str, antecedent_sup: Column | str) -> Column:
     return _col(sup) / _col(antecedent_sup)
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import all_confidence, coherence, correlation_kind, cosine, kulc, max_confidence
+from ..functions import all_confidence, coherence, correlation_kind, cosine, kulc, lift, max_confidence
 from ..types import Basket
 
 #: Sums of utilities; at 100 TB a 64-bit total overflows.
@@ -63,11 +63,11 @@ def item_stats(basket: Basket) -> DataFrame:
 ORDERS = {"support_asc": ["sup", "item"], "twu_asc": ["twu", "item"], "lexicographic": ["item"]}
 
 
-def rank_items(stats: DataFrame, order: str = "support_asc") -> DataFrame:
-    """``stats`` and ``item_rank`` from 1. Many items are ranked by a range-partitioned sort."""
+def rank_items(stats: DataFrame, order: str = "support_asc", most: int | None = None) -> DataFrame:
+    """``stats`` and ``item_rank`` from 1. Many items are ranked by a range-partitioned sort; ``most``: a bound of their number, where known."""
     keys = ORDERS[order]
-    if stats.limit(ONE_SORT + 1).count() <= ONE_SORT:
-        return stats.withColumn("item_rank", F.row_number().over(Window.orderBy(*keys)))
+    if (stats.limit(ONE_SORT + 1).count() if most is None else most) <= ONE_SORT:
+        return stats.coalesce(1).withColumn("item_rank", F.row_number().over(Window.orderBy(*keys)))
     dealt = stats.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("__at", F.monotonically_increasing_id()).checkpoint()
     part = F.shiftright("__at", 33)
     offsets, seen = [], 0
@@ -106,11 +106,19 @@ def extend_lists(lists: DataFrame, rows: DataFrame) -> DataFrame:
 def covering_rows(basket: Basket, patterns: DataFrame) -> DataFrame:
     """``pattern, tid`` with sums over the pattern's items, for transactions that hold all of them.
 
-    patterns: ``pattern`` (items joined by commas).
+    patterns: ``pattern`` (items joined by commas). A pattern meets only the transactions of its rarest item; whether
+    one holds the rest is tested within its row.
     """
-    named = patterns.select("pattern").distinct().withColumn("items", F.split("pattern", ",")).select("pattern", F.size("items").alias("k"), F.explode("items").alias("item"))
-    more = [F.min("qty").alias("min_qty"), F.sum("profit").alias("profits")] if {"qty", "profit"} <= set(basket.rows.columns) else []
-    return named.join(with_tu(basket.rows), "item").groupBy("pattern", "tid").agg(F.count(F.lit(1)).alias("n"), F.max("k").alias("k"), F.sum("u").alias("u"), F.max("tu").alias("tu"), *more).where("n = k")
+    more = ["qty", "profit"] if {"qty", "profit"} <= set(basket.rows.columns) else []
+    tx = basket.rows.groupBy("tid").agg(F.sum("u").alias("tu"), F.collect_list(F.struct("item", "u", *more)).alias("s"))
+    sups = basket.rows.groupBy("item").agg(F.count(F.lit(1)).alias("n"))
+    named = patterns.select("pattern").distinct().withColumn("items", F.split("pattern", ","))
+    rarest = named.select("pattern", "items", F.explode("items").alias("item")).join(sups, "item", "left").groupBy("pattern", "items").agg(F.min(F.struct(F.coalesce("n", F.lit(0)), "item")).alias("r")).select("pattern", "items", F.col("r.item").alias("rarest"))
+    met = rarest.join(tx.select("tid", "tu", "s", F.explode("s.item").alias("rarest")), "rarest")
+    whole = met.withColumn("h", F.filter("s", lambda e: F.array_contains("items", e["item"]))).where(F.size("h") == F.size("items"))
+    total = lambda f: F.aggregate("h", F.lit(0).cast("bigint"), lambda acc, e: acc + e[f])
+    extra = [F.array_min("h.qty").alias("min_qty"), total("profit").alias("profits")] if more else []
+    return whole.select("pattern", "tid", F.size("items").alias("k"), total("u").alias("u"), "tu", *extra)
 
 
 def itemset_utility(basket: Basket, patterns: DataFrame) -> DataFrame:
@@ -129,7 +137,9 @@ def interest_measures(basket: Basket, patterns: DataFrame) -> DataFrame:
     per = named.join(sups, "item").groupBy("pattern").agg(F.count(F.lit(1)).alias("k"), F.min("s").alias("least"), F.max("s").alias("most"), F.sum(1 / F.col("s")).alias("inv"), F.sum(F.log(F.col("s").cast("double"))).alias("logs"))
     united = named.join(basket.rows.select("item", "tid"), "item").select("pattern", "tid").distinct().groupBy("pattern").agg(F.count(F.lit(1)).alias("union_sup"))
     both = itemset_utility(basket, patterns).join(per, "pattern").join(united, "pattern")
+    whole = basket.rows.agg(F.countDistinct("tid").alias("whole"))
+    both = both.crossJoin(F.broadcast(whole))  # one row
     value = kulc("sup", "inv", "k")
     r = lambda c: F.round(c, 6)
-    return both.select("pattern", F.col("k").cast("int").alias("k"), "sup", r(value).alias("kulc"), correlation_kind(value).alias("kind"), r(all_confidence("sup", "most")).alias("all_confidence"), r(max_confidence("sup", "least")).alias("max_confidence"), r(coherence("sup", "union_sup")).alias("coherence"), r(cosine("sup", "logs", "k")).alias("cosine"))
+    return both.select("pattern", F.col("k").cast("int").alias("k"), "sup", r(value).alias("kulc"), correlation_kind(value).alias("kind"), r(all_confidence("sup", "most")).alias("all_confidence"), r(max_confidence("sup", "least")).alias("max_confidence"), r(coherence("sup", "union_sup")).alias("coherence"), r(cosine("sup", "logs", "k")).alias("cosine"), r(lift("sup", "logs", "k", "whole")).alias("lift"))
 

@@ -11,13 +11,23 @@ from pyspark.sql import functions as F
 
 from ..functions import EPS, pattern_text
 from ..operators.basket import SUM
-from ..scratch import written
+from ..scratch import delete_tables
+from ..scratch import written as scratch
 from ..types import ratio
+from .prepare import keep
 
 
 def mine_keyed(rows: DataFrame, key: str, min_util, min_cor) -> DataFrame:
-    """``pattern, k, sup, utility, kulc`` and the key, from ``key, tid, item, u``: all patterns of each key's own basket."""
+    """``pattern, k, sup, utility, kulc`` and the key, from ``key, tid, item, u``: all patterns of each key's own basket.
+
+    Written; the levels' tables are deleted. No rows: no patterns.
+    """
     util, cor = ratio(min_util), float(ratio(min_cor))
+    held: list[DataFrame] = []
+
+    def written(df: DataFrame, name: str) -> DataFrame:
+        return keep(df, held)
+
     rows = written(rows.select(F.col(key).alias("g"), "tid", "item", F.col("u").cast(SUM).alias("u")), "keyed")
     limits = rows.groupBy("g").agg(F.sum("u").alias("total")).select("g", F.expr(f"cast((total * {util.numerator} + {util.denominator - 1}) div {util.denominator} as {SUM})").alias("least"))
     with_tu = rows.withColumn("tu", F.sum("u").over(Window.partitionBy("g", "tid")).cast(SUM))
@@ -51,4 +61,7 @@ def mine_keyed(rows: DataFrame, key: str, min_util, min_cor) -> DataFrame:
     for more in emitted[1:]:
         out = out.unionByName(more)
     spelled = out.withColumn("item_rank", F.explode("ranks")).join(items.select("g", "item_rank", "item"), ["g", "item_rank"])
-    return spelled.groupBy("g", "ranks", "k", "sup", "iu", "kulc").agg(pattern_text(F.collect_list("item")).alias("pattern")).select("pattern", "k", "sup", F.col("iu").cast("bigint").alias("utility"), F.round("kulc", 6).alias("kulc"), F.col("g").alias(key))
+    found = spelled.groupBy("g", "ranks", "k", "sup", "iu", "kulc").agg(pattern_text(F.collect_list("item")).alias("pattern")).select("pattern", "k", "sup", F.col("iu").cast("bigint").alias("utility"), F.round("kulc", 6).alias("kulc"), F.col("g").alias(key))
+    out = scratch(found, "patterns")
+    delete_tables(*held)
+    return out

@@ -1,44 +1,33 @@
 """The correlated miner.
 
-Patterns grow one later item at a time along the support order. One level is one join of
-the frontier's lists with the basket (by transaction, ranks above the last and up to
-the last admissible) and one aggregation, which gives every child's support, utility,
-remaining utility and joint bound at once. Lists are made for children that will be
-expanded only. Deep searches end in ``prefix``: each pattern of the frontier becomes a
-unit that one task searches depth first.
+Patterns grow one later item at a time along the support order. A level is one aggregation over
+list entries and what follows them in their transactions, which gives every child's support, utility,
+remaining utility and joint bound at once, and one pass that makes the lists of the children to be
+expanded. Lists hold a place in a transaction, so the first two levels need no join at all.
+
+Patterns that fit a task become units of ``prefix``, searched depth first; only those too
+large for one go on level by level, so a frequent item is split by its second item, then its third.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import EPS, pattern_text
-from ..operators.basket import SUM, item_stats, rank_items, total_utility, with_tu
-from ..scratch import written
-from ..types import Basket, MiningResult, least_utility, ratio
-
-#: A frontier of more list entries than this goes on level by level, one of fewer may end in one prefix search.
-PREFIX_TUPLES = 2_000_000
-
+from ..operators.basket import SUM
+from ..types import Basket, MiningResult, ratio
+from .prefix import EFFORT, Rules, search_units
+from .prepare import Prepared, keep, later, prepare
 
-def _held(df: DataFrame, held: list[DataFrame]) -> DataFrame:
-    """Written to the shared folder: a level's plan never holds those before it."""
-    df = written(df, "mined")
-    held.append(df)
-    return df
+#: Transactions of a pattern up to which one task searches everything below it.
+UNIT_TUPLES = 200_000
 
 
-def prepare(basket: Basket, min_util, order: str, held: list[DataFrame]) -> tuple[int, int, DataFrame, DataFrame]:
-    """Least utility, total, ranked promising items, and their rows with remaining utilities."""
-    total = total_utility(basket)
-    least = least_utility(min_util, total)
-    # The total is that of all rows; what remains counts promising items only.
-    stats = item_stats(basket).where(F.col("twu") >= F.lit(least).cast(SUM))
-    items = _held(rank_items(stats, order).withColumn("inv", 1 / F.col("sup")), held)
-    later = Window.partitionBy("tid").orderBy(F.desc("item_rank")).rowsBetween(Window.unboundedPreceding, -1)
-    rows = with_tu(basket.rows).join(items.select("item", "item_rank"), "item").select("tid", "item_rank", "u", F.coalesce(F.sum("u").over(later), F.lit(0)).alias("ru"), "tu")
-    return total, least, items, _held(rows, held)
+def _most_sup(k: int, cor: float):
+    """Largest support of a later item: a child's Kulc is at most sup * (inv_sup + 1 / b_sup) / (k + 1)."""
+    need = F.lit((cor - EPS) * (k + 1)) / F.col("sup") - F.col("inv_sup")
+    return F.when(need <= 0, F.lit((1 << 63) - 1)).otherwise(F.floor((1 + 1e-9) / need) + 1)
 
 
 def mine(
@@ -54,8 +43,11 @@ def mine(
     max_k: int | None = None,
     plan: str = "auto",
     ratio_cut: bool = True,
+    needed_support: bool = False,
     sibling_filter: bool = False,
     pair_twu: bool = False,
+    kernel: str = "tuples",
+    unit_tuples: int = UNIT_TUPLES,
 ) -> MiningResult:
     """All patterns of utility at least ``min_util`` of the total and Kulc at least ``min_cor``.
 
@@ -64,9 +56,13 @@ def mine(
     use_la: drop pairs whose joint bound misses it. la_start: that bound starts from the
     extended pattern ("extension") or from its prefix ("prefix").
     ratio_cut: bound the supports of later items by min_cor (off where use_spk is).
+    needed_support: drop children below the support that min_cor asks of their items (needs use_spk).
     sibling_filter: extend only by items that survived beside the pattern (for counters).
-    plan: "levels", "prefix" (depth first from single items) or "auto": by levels while the
-    frontier's lists are too many for that.
+    pair_twu: extend by items only that share enough utility with the last one (plan "levels") or
+    with the first (units).
+    plan: "levels"; "prefix" (depth first from single items, whatever their size); or "auto": units of up to
+    ``unit_tuples`` transactions depth first, larger ones level by level. kernel: units are searched by
+    "tuples" (blocks of patterns at once) or "lists" (pairs of lists, ended early).
     """
     cor = float(ratio(min_cor))
     if use_spk and item_order != "support_asc":
@@ -75,90 +71,150 @@ def mine(
         raise ValueError("la_start is 'extension' or 'prefix'")
     if plan not in ("levels", "prefix", "auto"):
         raise ValueError("plan is 'levels', 'prefix' or 'auto'")
+    if kernel not in ("tuples", "lists"):
+        raise ValueError("kernel is 'tuples' or 'lists'")
     if not use_ubu and max_k is None:
         raise ValueError("without the utility bound a largest length is needed")
+    if ratio(min_util) == 0 and cor == 0 and max_k is None:
+        raise ValueError("with both thresholds at zero every itemset qualifies: a largest length is needed")
     if sibling_filter:
         plan = "levels"
-    ratio_cut = ratio_cut and use_spk and not sibling_filter and item_order == "support_asc"
+    cuts = use_spk and item_order == "support_asc" and cor > 0
+    rules = Rules(0, cor, use_spk, use_ubu, use_la, la_start, ratio_cut and cuts and not sibling_filter, pair_twu, max_k)
     held: list[DataFrame] = []
-    total, least, items, rows = prepare(basket, min_util, item_order, held)
-    cols = "ranks, k, sup, iu, ru, inv_sup, kulc, prefix_ub"
-    first = rows.groupBy("item_rank").agg(F.count(F.lit(1)).alias("sup"), F.sum(F.col("u").cast(SUM)).alias("iu"), F.sum(F.col("ru").cast(SUM)).alias("ru"))
-    level = first.select(F.array("item_rank").alias("ranks"), F.lit(1).alias("k"), "sup", "iu", "ru", (1 / F.col("sup")).alias("inv_sup"), F.lit(1.0).alias("kulc"), F.lit(total).cast(SUM).alias("prefix_ub"))
-    level = _held(level, held)
-    lists = rows.select(F.array("item_rank").alias("ranks"), F.col("item_rank").alias("last"), "tid", F.col("u").alias("iu"), "ru")
-    pairs = _pair_twu(rows, least, held) if pair_twu else None
-    limit = F.lit(least).cast(SUM)
-    supports = items.select("item_rank", F.col("sup").alias("b_sup"), F.col("inv").alias("b_inv"))
-    emitted, counters, alive_before, k = [], [], None, 1
-    la_cut = joined = 0
-    while True:
-        enough = F.col("iu") + F.col("ru") >= limit if use_ubu else F.lit(True)
-        correlated = F.col("kulc") >= cor - EPS
-        expand = enough & (correlated if use_spk else F.lit(True))
-        level = level.selectExpr(*cols.split(", ")).withColumn("expand", expand & F.lit(max_k is None or k < max_k)).withColumn("emit", (F.col("iu") >= limit) & correlated)
-        count = lambda c: F.coalesce(F.sum(c.cast("bigint")), F.lit(0))
-        seen = level.agg(F.count(F.lit(1)), count(F.col("emit")), count(F.col("expand")), count(~enough), count(enough & ~correlated) if use_spk else F.lit(0), F.coalesce(F.sum("sup"), F.lit(0)), F.coalesce(F.sum(F.when(F.col("expand"), F.col("sup"))), F.lit(0))).first()
-        visited, n_emit, n_expand, ubu_cut, spk_cut, tuples, live = (int(x or 0) for x in seen)
-        counters.append({"k": k, "visited": visited, "joined": joined, "la_cut": la_cut, "ubu_cut": ubu_cut, "spk_cut": spk_cut, "emitted": n_emit, "expanded": n_expand, "tuples": tuples})
-        emitted.append(level.where("emit").select("ranks", "k", "sup", "iu", "kulc"))
-        if not n_expand:
-            break
-        frontier = level.where("expand").select("ranks", F.element_at("ranks", -1).alias("last"), "sup", "iu", "ru", "inv_sup", "prefix_ub")
-        if ratio_cut and cor > 0:
-            # Kulc of a child is at most sup * (inv_sup + 1 / b_sup) / (k + 1), and falls as b_sup grows.
-            need = cor * (k + 1) / F.col("sup") - F.col("inv_sup")
-            frontier = frontier.withColumn("most_sup", F.when(need <= 0, F.lit((1 << 63) - 1)).otherwise(F.floor((1 + 1e-9) / need)))
-        else:
-            frontier = frontier.withColumn("most_sup", F.lit((1 << 63) - 1))
-        if plan == "prefix" or plan == "auto" and live <= PREFIX_TUPLES:
-            from .prefix import search_units
-
-            found, effort = search_units(lists, frontier, rows, items, least, cor, use_spk, use_ubu, use_la, max_k, live, held)
-            emitted.append(found)
-            counters.append(effort)
-            break
-        entries = lists.join(frontier.select("ranks", "most_sup"), "ranks")
-        a, b = entries.alias("a"), rows.join(supports, "item_rank").alias("b")
-        found = a.join(b, (F.col("a.tid") == F.col("b.tid")) & (F.col("b.item_rank") > F.col("a.last")) & (F.col("b.b_sup") <= F.col("a.most_sup")))
-        tuple_rows = found.select(F.col("a.ranks").alias("parent"), F.col("b.item_rank").alias("item_rank"), F.col("a.tid").alias("tid"), (F.col("a.iu") + F.col("b.u")).alias("iu"), F.col("b.ru").alias("ru"), (F.col("a.iu") + F.col("a.ru")).alias("joint"), F.col("b.b_inv").alias("b_inv"))
-        if pairs is not None:
-            tuple_rows = tuple_rows.withColumn("x", F.element_at("parent", -1)).join(pairs, ["x", "item_rank"], "left_semi").drop("x")
-        if alive_before is not None:
-            # X_ab is extended by c only if the pair (X_a, c) survived.
-            tuple_rows = tuple_rows.withColumn("sibling", F.expr("slice(parent, 1, size(parent) - 1)")).join(alive_before, ["sibling", "item_rank"], "left_semi").drop("sibling")
-        children = tuple_rows.groupBy("parent", "item_rank").agg(F.count(F.lit(1)).alias("sup"), F.sum(F.col("iu").cast(SUM)).alias("iu"), F.sum(F.col("ru").cast(SUM)).alias("ru"), F.sum(F.col("joint").cast(SUM)).alias("joint"), F.first("b_inv").alias("b_inv"))
-        scored = children.join(frontier.select(F.col("ranks").alias("parent"), F.col("inv_sup").alias("p_inv"), (F.col("iu") + F.col("ru")).alias("own_ub"), "prefix_ub"), "parent")
-        bound = F.col("joint") if la_start == "extension" else F.col("prefix_ub") - F.col("own_ub") + F.col("joint")
-        inv = F.col("p_inv") + F.col("b_inv")
-        scored = _held(
-            scored.select(
-                "parent", "item_rank", F.concat("parent", F.array("item_rank")).alias("ranks"), F.lit(k + 1).alias("k"), "sup", "iu", "ru", inv.alias("inv_sup"), (F.col("sup") * inv / (k + 1)).alias("kulc"), F.col("own_ub").alias("prefix_ub"),
-                ((bound >= limit) if use_la else F.lit(True)).alias("alive"),
-            ),
-            held,
-        )
-        joined, la_cut = (int(x or 0) for x in scored.agg(F.count(F.lit(1)), count(~F.col("alive"))).first())
-        if sibling_filter:
-            alive_before = scored.where("alive").select(F.col("parent").alias("sibling"), "item_rank")
-        level = scored.where("alive")
-        k += 1
-        grow = level.where((F.col("iu") + F.col("ru") >= limit if use_ubu else F.lit(True)) & (F.col("kulc") >= cor - EPS if use_spk else F.lit(True))).select("parent", "item_rank", "ranks")
-        if max_k is not None and k >= max_k:
-            grow = grow.limit(0)
-        lists = _held(tuple_rows.join(grow, ["parent", "item_rank"]).select("ranks", F.col("item_rank").alias("last"), "tid", "iu", "ru"), held)
-    out = emitted[0]
-    for more in emitted[1:]:
+    p = prepare(basket, min_util, item_order, held)
+    rules = Rules(p.least, *list(vars(rules).values())[1:])
+    run = _Run(p, rules, held, needed_support and cuts, sibling_filter)
+    top = {"levels": 0, "auto": unit_tuples, "prefix": None}[plan]
+    found = run.levels(top, kernel)
+    exact = named(found, p.items, digits=None)
+    return MiningResult(exact.withColumn("kulc", F.round("kulc", 6)), run.counted(), held, exact)
+
+
+class _Run:
+    def __init__(self, p: Prepared, rules: Rules, held: list[DataFrame], needed: bool, siblings: bool) -> None:
+        self.p, self.rules, self.held, self.needed, self.siblings = p, rules, held, needed, siblings
+        self.limit = F.lit(rules.least).cast(SUM)
+        self.effort: dict[int, dict] = {}
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        return keep(df, self.held)
+
+    def count(self, k: int, **more: int) -> None:
+        mine = self.effort.setdefault(k, dict.fromkeys(EFFORT, 0))
+        for name, n in more.items():
+            mine[name] = max(mine[name], n) if name == "peak" else mine[name] + n
+
+    def counted(self) -> list[dict]:
+        return [{"k": k, **self.effort[k]} for k in sorted(self.effort)]
+
+    def judged(self, level: DataFrame, k: int) -> DataFrame:
+        """The level with ``expand`` and ``emit``."""
+        r = self.rules
+        enough = F.col("iu") + F.col("ru") >= self.limit if r.use_ubu else F.lit(True)
+        correlated = F.col("kulc") >= r.cor - EPS
+        go = F.col("alive") & enough & (correlated if r.use_spk else F.lit(True)) & F.lit(r.max_k is None or k < r.max_k)
+        return level.withColumns({"enough": enough, "expand": go, "emit": F.col("alive") & (F.col("iu") >= self.limit) & correlated})
+
+    def tally(self, level: DataFrame, k: int, joined: bool) -> tuple[int, int]:
+        """Counters of a judged level; how many patterns grow, and the list entries they have."""
+        spk = self.rules.use_spk
+        n = lambda c: F.coalesce(F.sum(c.cast("bigint")), F.lit(0))
+        alive, enough, low = F.col("alive"), F.col("enough"), F.col("kulc") < self.rules.cor - EPS
+        entries = lambda c: F.coalesce(F.sum(F.when(c, F.col("sup"))), F.lit(0))
+        seen = level.coalesce(1).agg(F.count(F.lit(1)), n(alive), n(F.col("emit")), n(F.col("expand")), n(alive & ~enough), n(alive & enough & low) if spk else F.lit(0), entries(alive), entries(F.col("expand"))).first()
+        made, visited, emitted, grow, ubu, cut, tuples, live = (int(x or 0) for x in seen)
+        self.count(k, joined=made if joined else 0, la_cut=made - visited, visited=visited, emitted=emitted, expanded=grow, ubu_cut=ubu, spk_cut=cut, tuples=tuples, peak=live)
+        return grow, live
+
+    def levels(self, top: int | None, kernel: str) -> DataFrame:
+        """All patterns ``ranks, k, sup, iu, kulc``; patterns of up to ``top`` transactions (None: all) become units."""
+        p, r = self.p, self.rules
+        emitted = []
+        places = p.entries
+        if top is None or 0 < p.most <= top:
+            return self.units(places, F.lit(True), kernel)
+        if top:
+            # Single items that fit a task are judged there.
+            emitted.append(self.units(places, F.col("e.sup") <= top, kernel))
+            places = places.where(F.col("e.sup") > top)
+        first = places.groupBy(F.col("e.item_rank").alias("b")).agg(F.count(F.lit(1)).alias("sup"), F.sum(F.col("e.u").cast(SUM)).alias("iu"), F.sum(F.col("e.ru").cast(SUM)).alias("ru"))
+        level = first.select(F.col("b").cast("bigint").alias("pid"), F.lit(-1).cast("bigint").alias("parent"), "b", F.array("b").alias("ranks"), "sup", "iu", "ru", (1 / F.col("sup")).alias("inv_sup"), F.lit(1.0).alias("kulc"), F.lit(p.total).cast(SUM).alias("above"), F.lit(True).alias("alive"))
+        level = self.keep(self.judged(level, 1))
+        k, lists, before = 1, None, None
+        grow, live = self.tally(level, 1, False)
+        while True:
+            emitted.append(level.where("emit").select("ranks", F.lit(k).alias("k"), "sup", "iu", "kulc"))
+            if not grow:
+                break
+            frontier = level.where("expand").withColumn("most_sup", _most_sup(k, r.cor) if r.ratio else F.lit((1 << 63) - 1))
+            if k == 1:
+                entries = places.join(frontier.select("pid", "b", "most_sup"), F.col("e.item_rank") == F.col("b")).select("pid", "tid", "tu", "at", F.col("e.u").alias("iu"), F.col("e.ru").alias("ru"), "most_sup", "s")
+            else:
+                entries = lists.join(p.tx.select("tid", "tu", "s"), "tid")
+            if k > 1 and top:
+                # What fits a task now ends there; the rest goes on by levels.
+                small = self.keep(entries.where(F.col("sup") <= top).select("pid", "iu", "tu", later().alias("s")))
+                named_units = small.join(frontier.select("pid", "ranks", "inv_sup", "above"), "pid").drop("pid")
+                fit = frontier.where(F.col("sup") <= top).coalesce(1).agg(F.count(F.lit(1)), F.coalesce(F.sum("sup"), F.lit(0))).first()
+                if fit[0]:
+                    emitted.append(self.searched(named_units, int(fit[1]), False, kernel))
+                if fit[0] == grow:
+                    break
+                entries, frontier = entries.where(F.col("sup") > top), frontier.where(F.col("sup") > top)
+            after = F.explode(F.filter(F.transform(later(), lambda e, i: F.struct((i + 1).alias("step"), e["item_rank"].alias("b"), e["u"].alias("u"), e["ru"].alias("ru"), e["sup"].alias("b_sup"))), lambda e: e["b_sup"] <= F.col("most_sup")))
+            pairs = entries.select("pid", "tid", "tu", "at", (F.col("iu") + F.col("ru")).alias("joint"), "iu", after.alias("e")).select("pid", "tid", "tu", (F.col("at") + F.col("e.step")).alias("at"), "joint", (F.col("iu") + F.col("e.u")).alias("iu"), F.col("e.ru").alias("ru"), F.col("e.b").alias("b"), F.col("e.b_sup").alias("b_sup"))
+            if r.pair_twu:
+                if k == 1:
+                    enough_pairs = self.keep(pairs.groupBy(F.col("pid").alias("x"), "b").agg(F.sum(F.col("tu").cast(SUM)).alias("t")).where(F.col("t") >= self.limit).select("x", "b"))
+                last = frontier.select("pid", F.col("b").cast("bigint").alias("x"))
+                pairs = pairs.join(last, "pid").join(enough_pairs, ["x", "b"], "left_semi").drop("x")
+            if before is not None:
+                # X_ab is extended by c only if the pair (X_a, c) survived.
+                pairs = pairs.join(frontier.select("pid", F.col("parent").alias("up")), "pid").join(before, ["up", "b"], "left_semi").drop("up")
+            children = pairs.groupBy("pid", "b").agg(F.count(F.lit(1)).alias("sup"), F.sum(F.col("iu").cast(SUM)).alias("iu"), F.sum(F.col("ru").cast(SUM)).alias("ru"), F.sum(F.col("joint").cast(SUM)).alias("joint"), F.first("b_sup").alias("b_sup"))
+            up = frontier.select("pid", F.col("ranks").alias("path"), F.col("inv_sup").alias("p_inv"), (F.col("iu") + F.col("ru")).alias("own"), F.col("above").alias("p_above"))
+            bound = F.col("joint") if r.la_start == "extension" else F.col("p_above") - F.col("own") + F.col("joint")
+            inv = F.col("p_inv") + 1 / F.col("b_sup")
+            kulc = F.col("sup") * inv / (k + 1)
+            scored = children.join(up, "pid").select(
+                F.monotonically_increasing_id().alias("pid"), F.col("pid").alias("parent"), "b", F.concat("path", F.array("b")).alias("ranks"), "sup", "iu", "ru", inv.alias("inv_sup"), kulc.alias("kulc"), F.col("own").alias("above"),
+                ((bound >= self.limit) if r.use_la else F.lit(True)).alias("alive"),
+            )
+            if self.needed:
+                scored = scored.where(F.col("sup") >= F.floor(F.lit((r.cor - EPS) * (k + 1)) / F.col("inv_sup") * (1 - 1e-9)))
+            level = self.keep(self.judged(scored, k + 1))
+            grow, live = self.tally(level, k + 1, True)
+            if self.siblings:
+                before = level.where("alive").select(F.col("parent").alias("up"), "b")
+            k += 1
+            if grow:
+                chosen = level.where("expand").withColumn("most_sup", _most_sup(k, r.cor) if r.ratio else F.lit((1 << 63) - 1))
+                chosen = chosen.select(F.col("parent").alias("pid"), "b", F.col("pid").alias("child"), "most_sup", "sup")
+                lists = self.keep(pairs.join(chosen, ["pid", "b"]).select(F.col("child").alias("pid"), "tid", "at", "iu", "ru", "most_sup", "sup"))
+        return _union(emitted)
+
+    def units(self, places: DataFrame, which, kernel: str) -> DataFrame:
+        rows = places.where(which).select(F.array("e.item_rank").alias("ranks"), (1 / F.col("e.sup")).alias("inv_sup"), F.lit(self.p.total).cast(SUM).alias("above"), F.col("e.u").alias("iu"), "tu", later().alias("s"))
+        return self.searched(rows, self.entries_of(places, which), True, kernel)
+
+    def entries_of(self, places: DataFrame, which) -> int:
+        """About how many rows the units have: the supports of their items, from the item table."""
+        items = self.p.items.select(F.struct("sup").alias("e"), "sup").where(which)
+        return int(items.coalesce(1).agg(F.coalesce(F.sum("sup"), F.lit(0))).first()[0])
+
+    def searched(self, rows: DataFrame, tuples: int, judge: bool, kernel: str) -> DataFrame:
+        found, effort = search_units(rows, tuples, self.rules, judge, self.keep, kernel)
+        for c in effort:
+            self.count(c.pop("k"), **c)
+        return found
+
+
+def _union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for more in frames[1:]:
         out = out.unionByName(more)
-    exact = named(out, items, digits=None)
-    return MiningResult(exact.withColumn("kulc", F.round("kulc", 6)), counters, held, exact)
-
-
-def _pair_twu(rows: DataFrame, least: int, held: list[DataFrame]) -> DataFrame:
-    """``x, item_rank``: pairs of items whose common transactions together reach the threshold."""
-    a, b = rows.select("tid", F.col("item_rank").alias("x"), "tu"), rows.select("tid", "item_rank")
-    both = a.join(b, "tid").where("x < item_rank").groupBy("x", "item_rank").agg(F.sum(F.col("tu").cast(SUM)).alias("t"))
-    return _held(both.where(F.col("t") >= F.lit(least).cast(SUM)).select("x", "item_rank"), held)
+    return out
 
 
 def named(found: DataFrame, items: DataFrame, digits: int | None = 6) -> DataFrame:
@@ -177,7 +233,7 @@ VARIANTS = {
 
 
 def mine_variant(basket: Basket, min_util, min_cor, name: str, **more) -> MiningResult:
-    return mine(basket, min_util, min_cor, **(VARIANTS[name] | {"plan": "levels"} | more))
+    return mine(basket, min_util, min_cor, **(VARIANTS[name] | more))
 
 
-__all__ = ["VARIANTS", "mine", "mine_variant", "named", "prepare"]
+__all__ = ["VARIANTS", "mine", "mine_variant", "named"]

@@ -14,12 +14,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's checkpoint folder; a temporary one where none is set (tests)."""
+    """The session's checkpoint folder. Where none is set, a temporary one, in local mode alone: executors share no other."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if base:
         return base.rstrip("/")
     base = getattr(spark.sparkContext, "_corrutil_scratch", None)
     if base is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir is not set: driver and executors need a folder that they share")
         base = "file://" + tempfile.mkdtemp(prefix="corrutil-")
         spark.sparkContext._corrutil_scratch = base
     return base
@@ -39,12 +41,17 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
-def discard(*frames: DataFrame) -> None:
-    """Deletes scratch tables that nothing reads any more, and lets Spark free old shuffle files."""
+def delete_tables(*frames: DataFrame) -> None:
+    """Deletes scratch tables that nothing reads any more."""
     for df in frames:
         path = getattr(df, "_scratch_path", None)
         if path:
             delete(df.sparkSession, path)
+
+
+def discard(*frames: DataFrame) -> None:
+    """``delete_tables``, and lets Spark free old shuffle files."""
+    delete_tables(*frames)
     release(frames[0].sparkSession if frames else SparkSession.getActiveSession())
 
 

@@ -26,21 +26,39 @@ def read_csv_rows(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("tid bigint, item string, qty bigint").option("header", True).csv(path)
 
 
+def _parsed(lines: DataFrame) -> DataFrame:
+    """Lines with their two lists, and with ``reason`` where they are not well formed."""
+    parts = F.split(F.trim("value"), r"\s*:\s*")
+    cut = lines.withColumn("names", F.split(F.element_at(parts, 1), r"\s+")).withColumn("values", F.when(F.size(parts) == 3, F.transform(F.split(F.try_element_at(parts, F.lit(3)), r"\s+"), lambda v: v.try_cast("bigint"))))
+    reason = (
+        F.when(F.col("value").isNull() | F.col("values").isNull(), "not three parts").when(F.size("names") != F.size("values"), "lists of different length")
+        .when(F.exists("values", lambda v: v.isNull()), "not a number").when(F.exists("names", lambda n: n == ""), "no item")
+    )
+    return cut.withColumn("reason", reason)
+
+
 def utility_lines(lines: DataFrame) -> DataFrame:
     """``tid, item, u`` from lines "items : total : utilities" (column ``value``) with a line number ``tid``.
 
-    Lines whose two lists differ in length, or with numbers that are none, are left out.
+    Lines that are not well formed are left out whole; ``rejected_lines`` gives them.
     """
-    parts = F.split(F.trim("value"), r"\s*:\s*")
-    names, values = F.split(F.element_at(parts, 1), r"\s+"), F.split(F.element_at(parts, 3), r"\s+")
-    good = lines.where(F.size(parts) == 3).select("tid", names.alias("names"), values.alias("values")).where(F.size("names") == F.size("values"))
-    return good.select("tid", F.explode(F.arrays_zip("names", "values")).alias("e")).select("tid", F.col("e.names").alias("item"), F.expr("try_cast(e.values AS bigint)").alias("u")).where("u IS NOT NULL")
+    good = _parsed(lines).where("reason IS NULL")
+    return good.select("tid", F.explode(F.arrays_zip("names", "values")).alias("e")).select("tid", F.col("e.names").alias("item"), F.col("e.values").alias("u"))
+
+
+def rejected_lines(lines: DataFrame) -> DataFrame:
+    """``tid, value, reason`` of the lines that ``utility_lines`` leaves out."""
+    return _parsed(lines).where("reason IS NOT NULL").select("tid", "value", "reason")
 
 
 def read_utility_text(spark: SparkSession, path: str) -> DataFrame:
     """Benchmark files in the form "items : total : utilities"; a transaction's number comes from its file and place."""
-    lines = spark.read.text(path).withColumn("tid", F.monotonically_increasing_id())
-    return utility_lines(lines)
+    return utility_lines(read_lines(spark, path))
+
+
+def read_lines(spark: SparkSession, path: str) -> DataFrame:
+    """``tid, value``: the lines of text files, numbered."""
+    return spark.read.text(path).withColumn("tid", F.monotonically_increasing_id())
 
 
 class _Lines(DataSourceReader):

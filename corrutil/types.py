@@ -9,7 +9,7 @@ from fractions import Fraction
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .scratch import discard
+from .scratch import delete_tables, written
 
 BASKET = T.StructType([T.StructField("tid", T.LongType()), T.StructField("item", T.StringType()), T.StructField("u", T.LongType())])
 RECORD = T.ArrayType(T.StructType([T.StructField("item", T.StringType()), T.StructField("qty", T.LongType())]))
@@ -57,5 +57,11 @@ class MiningResult:
 
     def close(self) -> None:
         """Deletes the scratch tables; the patterns must have been read or written before."""
-        if self.held:
-            discard(*self.held)
+        delete_tables(*self.held)
+        self.held.clear()
+
+    def settled(self, exact: bool = False) -> DataFrame:
+        """The patterns, written; of the run's scratch tables only this one is left."""
+        out = written(self.exact if exact and self.exact is not None else self.patterns, "patterns")
+        self.close()
+        return out

@@ -30,7 +30,8 @@ def paper_example(spark: SparkSession) -> Basket:
 def _lines(spark: SparkSession, sf_dir: str, item: str) -> Basket:
     part = table(spark, sf_dir, "part").select("p_partkey", F.col(item).cast("string").alias("item"), cents("p_retailprice").alias("price"))
     lines = table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("tid"), "l_partkey", F.col("l_quantity").cast("bigint").alias("qty"))
-    joined = lines.join(part, lines["l_partkey"] == part["p_partkey"])
+    # By transaction alone, so that what a miner groups by transaction needs no second shuffle.
+    joined = lines.join(part, lines["l_partkey"] == part["p_partkey"]).repartition("tid")
     return Basket(joined.groupBy("tid", "item").agg(F.sum("qty").alias("qty"), F.sum(F.col("qty") * F.col("price")).alias("u")))
 
 
@@ -48,11 +49,23 @@ def w3_order_type(spark: SparkSession, sf_dir: str) -> Basket:
 
 
 def w3_affinity(spark: SparkSession, sf_dir: str) -> Basket:
-    """Types with one profit each: the least size of a type's parts and the length of its name."""
+    return _one_profit(w3_order_type(spark, sf_dir), spark, sf_dir, "p_type")
+
+
+def _one_profit(basket: Basket, spark: SparkSession, sf_dir: str, column: str) -> Basket:
+    """The basket's quantities with one profit for each item: the least size of its parts and the length of its name."""
     from .operators.basket import build_basket
 
-    profit = table(spark, sf_dir, "part").groupBy(F.col("p_type").alias("item")).agg((F.min("p_size") + F.length("p_type")).cast("bigint").alias("unit_profit"))
-    return build_basket(w3_order_type(spark, sf_dir).rows.select("tid", "item", "qty"), profit)
+    profit = table(spark, sf_dir, "part").groupBy(F.col(column).alias("item")).agg((F.min("p_size") + F.length(column)).cast("bigint").alias("unit_profit"))
+    return build_basket(basket.rows.select("tid", "item", "qty"), profit)
+
+
+def w2_affinity(spark: SparkSession, sf_dir: str) -> Basket:
+    return _one_profit(w2_order_brand(spark, sf_dir), spark, sf_dir, "p_brand")
+
+
+def w4_affinity(spark: SparkSession, sf_dir: str) -> Basket:
+    return _one_profit(w4_cust_brand(spark, sf_dir), spark, sf_dir, "p_brand")
 
 
 def w4_cust_brand(spark: SparkSession, sf_dir: str) -> Basket:
@@ -70,6 +83,15 @@ def w6_order_name(spark: SparkSession, sf_dir: str) -> Basket:
     return _lines(spark, sf_dir, "p_name")
 
 
+def w6_simulated(spark: SparkSession, sf_dir: str) -> Basket:
+    """W6 as bare itemsets, with simulated quantities and profits, as for data that carries neither."""
+    from .functions import simulate_profit, simulate_quantity
+    from .operators.basket import build_basket
+
+    bare = w6_order_name(spark, sf_dir).rows.select("tid", "item")
+    return build_basket(bare.withColumn("qty", simulate_quantity("tid", "item")), bare.select("item").distinct().withColumn("unit_profit", simulate_profit("item")))
+
+
 def w7_user_day_event(spark: SparkSession, sf_dir: str) -> Basket:
     events = table(spark, sf_dir, "events").select(F.concat_ws(":", F.col("user_id").cast("string"), F.date_format("ts", "yyyy-MM-dd")).alias("tid"), F.col("event_type").alias("item"), cents("value").alias("u"))
     return Basket(events.groupBy("tid", "item").agg(F.sum("u").alias("u")))
@@ -115,7 +137,7 @@ def w13_bench_word(spark: SparkSession, sf_dir: str) -> Basket:
     return _top_words(table(spark, sf_dir, "benchmark"), "item_id")
 
 
-VIEWS = {"w1": w1_order_part, "w2": w2_order_brand, "w3": w3_order_type, "w4": w4_cust_brand, "w5": w5_order_supp, "w6": w6_order_name, "w7": w7_user_day_event, "w8": w8_doc_word, "w9": w9_emb_dim, "w10": w10_page_tag, "w11": w11_conv_word, "w12": w12_doc_label, "w13": w13_bench_word, "w3a": w3_affinity}
+VIEWS = {"w1": w1_order_part, "w2": w2_order_brand, "w3": w3_order_type, "w4": w4_cust_brand, "w5": w5_order_supp, "w6": w6_order_name, "w7": w7_user_day_event, "w8": w8_doc_word, "w9": w9_emb_dim, "w10": w10_page_tag, "w11": w11_conv_word, "w12": w12_doc_label, "w13": w13_bench_word, "w2a": w2_affinity, "w3a": w3_affinity, "w4a": w4_affinity, "w6s": w6_simulated}
 
 _LINES = """SELECT l_orderkey AS tid, CAST({0} AS VARCHAR) AS item, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty,
   CAST(sum(CAST(l_quantity AS BIGINT) * CAST(round(p_retailprice * 100) AS BIGINT)) AS BIGINT) AS u
@@ -141,5 +163,7 @@ VIEW_SQL = {
     "w11": _WORDS.format("conv_id", "conversations"),
     "w12": """SELECT doc_id AS tid, unnest(['lang=' || lang, 'source=' || source, 'quality=' || quality, 'toxic=' || toxic]) AS item, n_chars AS u FROM documents JOIN labels USING (doc_id)""",
     "w13": _WORDS.format("item_id", "benchmark"),
-    "w3a": "SELECT tid, item, qty, profit, qty * profit AS u FROM (" + _LINES.format("p_type") + ") v JOIN (SELECT p_type, CAST(min(p_size) + length(p_type) AS BIGINT) AS profit FROM part GROUP BY p_type) ON item = p_type",
 }
+_CUSTOMERS = "SELECT o_custkey AS tid, item, CAST(sum(qty) AS BIGINT) AS qty FROM ({0}) v JOIN orders ON v.tid = o_orderkey GROUP BY 1, 2"
+for _name, _rows, _item in (("w2a", _LINES.format("p_brand"), "p_brand"), ("w3a", _LINES.format("p_type"), "p_type"), ("w4a", _CUSTOMERS.format(_LINES.format("p_brand")), "p_brand")):
+    VIEW_SQL[_name] = f"SELECT tid, item, qty, profit, qty * profit AS u FROM ({_rows}) v JOIN (SELECT {_item}, CAST(min(p_size) + length({_item}) AS BIGINT) AS profit FROM part GROUP BY {_item}) ON item = {_item}"

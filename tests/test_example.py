@@ -6,6 +6,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from corrutil.operators import analysis
 from corrutil.operators import basket as ops
 from corrutil.plans import baselines
 from corrutil.plans.levels import mine, mine_variant
@@ -48,7 +49,7 @@ def test_given_patterns(spark, example):
     assert kulc == {"d,e": 0.583333, "a,b,c": 0.633333, "a,b,c,d": 0.641667, "a,b,c,d,e": 0.306667, "b,c,d": 0.722222}
 
 
-@pytest.mark.parametrize("how", [{"plan": "levels"}, {"plan": "prefix"}, {"plan": "auto"}, {"plan": "levels", "la_start": "prefix"}, {"sibling_filter": True}])
+@pytest.mark.parametrize("how", [{"plan": "levels"}, {"plan": "prefix"}, {"plan": "auto"}, {"unit_tuples": 3}, {"kernel": "lists"}, {"plan": "levels", "la_start": "prefix"}, {"sibling_filter": True}, {"needed_support": True, "plan": "levels"}, {"unit_tuples": 2, "kernel": "lists"}])
 def test_correlated_miner(example, how):
     assert names(mine(example, "0.2", "0.7", **how).patterns) == CHU
 
@@ -64,13 +65,20 @@ def test_variants_and_their_effort(example, name, effort):
     r = mine_variant(example, "0.2", "0.7", name)
     assert names(r.patterns) == CHU
     assert (r.total("visited"), r.total("joined"), r.total("la_cut")) == effort
+    levels, mixed = (mine_variant(example, "0.2", "0.7", name, **how) for how in ({"plan": "levels"}, {"unit_tuples": 3}))
+    for other in (levels, mixed):
+        for c in ("visited", "joined", "la_cut", "ubu_cut", "spk_cut", "emitted", "expanded", "tuples"):
+            assert other.total(c) == r.total(c), c
+        other.close()
+    assert not levels.held
 
 
 def test_baselines(example):
     assert names(baselines.mine_plain(example, "0.2").patterns) == HUP
     assert names(baselines.mine_plain(example, "0.2", pair_twu=False, plan="levels").patterns) == HUP
     assert names(baselines.mine_plain_projected(example, "0.2").patterns) == HUP
-    assert names(baselines.mine_tree_growth(example, "0.2")) == HUP
+    assert names(baselines.mine_tree_growth(example, "0.2").patterns) == HUP
+    assert names(baselines.mine_tree_growth(example, "0.2", unit_paths=1).patterns) == HUP
     two = baselines.mine_two_phase(example, "0.2")
     assert names(two.patterns) == HUP and two.total("candidates") == 31
     proj = baselines.mine_projection(example, "0.2", "0.7")
@@ -91,7 +99,16 @@ def test_bad_rows_and_arguments(spark, example):
             mine(example, **({"min_util": "0.1", "min_cor": "0.1"} | bad))
     with pytest.raises(ValueError):
         mine(example, "0.1", "0.1", item_order="lexicographic")
+    with pytest.raises(ValueError):
+        mine(example, "0", "0")
+    assert len(names(mine(example, "0", "0", max_k=2).patterns)) == 15
     empty = Basket(spark.createDataFrame([], "tid bigint, item string, u bigint"))
+    for plan in ("levels", "prefix"):
+        assert mine(empty, "0.1", "0.1", plan=plan).settled().count() == 0
+    for run in (baselines.mine_two_phase, baselines.mine_plain, baselines.mine_plain_projected, baselines.mine_tree_growth):
+        assert run(empty, "0.1").patterns.count() == 0
+    assert baselines.mine_projection(empty, "0.1", "0.1").patterns.count() == 0
+    assert analysis.segment_mine(empty.rows, spark.createDataFrame([], "tid bigint, segment string"), "0.1", "0.1").count() == 0
     assert mine(empty, "0.1", "0.1").patterns.count() == 0
     one = Basket(spark.createDataFrame([(1, "a", 5)], "tid bigint, item string, u bigint"))
     assert names(mine(one, "1", "1").patterns) == {"a"}
@@ -115,42 +132,58 @@ def brute(rows, util, cor):
     return {",".join(c) for c, (n, u) in seen.items() if u >= util * total - 1e-9 and n * sum(1 / sup[i] for i in c) / len(c) >= cor - 1e-9}
 
 
-@pytest.mark.parametrize("seed", range(4))
-def test_random_baskets(spark, seed):
+FLAGS = [
+    {"plan": "levels"}, {"plan": "levels", "use_la": False}, {"plan": "levels", "use_spk": False}, {"plan": "levels", "la_start": "prefix", "ratio_cut": False}, {"plan": "levels", "needed_support": True},
+    {"sibling_filter": True}, {"plan": "levels", "pair_twu": True}, {"plan": "prefix"}, {"kernel": "lists"}, {"unit_tuples": 6}, {"unit_tuples": 4, "la_start": "prefix"}, {"unit_tuples": 5, "pair_twu": True},
+    {"item_order": "twu_asc", "use_spk": False}, {"item_order": "lexicographic", "use_spk": False, "plan": "levels"},
+]
+
+
+@pytest.mark.parametrize("seed, how", list(enumerate(FLAGS)))
+def test_random_baskets(spark, seed, how):
     rng = random.Random(seed)
-    items = "abcdefgh"[: rng.randint(4, 8)]
-    rows = [(t, i, rng.randint(1, 5) * rng.randint(1, 20)) for t in range(rng.randint(5, 30)) for i in items if rng.random() < 0.5]
-    b = Basket(spark.createDataFrame(rows, "tid bigint, item string, u bigint").cache())
-    want = brute(rows, 0.05, 0.4)
-    assert names(mine(b, "0.05", "0.4", plan="levels").patterns) == want
-    assert names(mine(b, "0.05", "0.4", plan="prefix").patterns) == want
-
-
-def test_kernel_on_many_random_baskets():
-    """The depth-first kernel alone, over all its switches."""
-    import numpy as np
-
-    from corrutil.plans.prefix import dfs
-
-    for seed in range(300):
-        rng = random.Random(1000 + seed)
-        items = "abcdefg"[: rng.randint(3, 7)]
-        rows = [(t, i, rng.randint(1, 60)) for t in range(rng.randint(3, 20)) for i in items if rng.random() < 0.55]
-        if not rows:
-            continue
-        util, cor = rng.choice([0.02, 0.05, 0.1, 0.2]), rng.choice([0, 0.3, 0.5, 0.7])
-        least = least_utility(str(util), sum(u for *_, u in rows))
-        sup = {}
-        for _, i, _ in rows:
-            sup[i] = sup.get(i, 0) + 1
-        rank = {i: k + 1 for k, i in enumerate(sorted(sup, key=lambda i: (sup[i], i)))}
-        lists = []
-        for i in sorted(rank, key=rank.get):
-            mine_rows = sorted((t, u) for t, j, u in rows if j == i)
-            ru = [sum(u for t2, j, u in rows if t2 == t and rank[j] > rank[i]) for t, _ in mine_rows]
-            lists.append((rank[i], (np.array([t for t, _ in mine_rows]), np.array([u for _, u in mine_rows]), np.array(ru))))
-        back = {r: i for i, r in rank.items()}
-        for spk, la in itertools.product((True, False), repeat=2):
-            effort = {"visited": 0, "joined": 0, "la_cut": 0}
-            found = dfs((), None, lists, {rank[i]: n for i, n in sup.items()}, 0.0, least, cor, spk, True, la, None, effort)
-            assert {",".join(sorted(back[r] for r in x[0])) for x in found} == brute(rows, util, cor)
+    items = "abcdefgh"[: rng.randint(4, 7)]
+    rows = [(t, i, rng.randint(1, 5) * rng.randint(1, 20)) for t in range(rng.randint(8, 30)) for i in items if rng.random() < 0.5]
+    b = Basket(spark.createDataFrame(rows, "tid bigint, item string, u bigint"))
+    assert names(mine(b, "0.05", "0.4", **how).settled()) == brute(rows, 0.05, 0.4)
+
+
+def test_partitions_do_not_matter(spark):
+    rng = random.Random(99)
+    rows = [(t, i, rng.randint(1, 50)) for t in range(40) for i in "abcdef" if rng.random() < 0.5]
+    b = Basket(spark.createDataFrame(rows, "tid bigint, item string, u bigint"))
+    before, found = spark.conf.get("spark.sql.shuffle.partitions"), []
+    try:
+        for n in (1, 7, 50):
+            spark.conf.set("spark.sql.shuffle.partitions", n)
+            found += [sorted(map(tuple, mine(b, "0.03", "0.3", **how).settled().collect())) for how in ({"plan": "levels"}, {"unit_tuples": 10})]
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert all(f == found[0] for f in found) and len(found[0]) > 6
+
+
+def test_mined_by_segment_equals_each_alone(spark):
+    rng = random.Random(5)
+    rows = [(t, i, rng.randint(1, 50)) for t in range(30) for i in "abcde" if rng.random() < 0.6]
+    df = spark.createDataFrame(rows, "tid bigint, item string, u bigint")
+    seg = spark.createDataFrame([(t, "xyz"[t % 3] if t % 3 else None) for t in range(30)], "tid bigint, segment string")
+    got = {}
+    for r in analysis.segment_mine(df, seg, "0.05", "0.4").collect():
+        got.setdefault(r["segment"], set()).add(r["pattern"])
+    assert got == {"xyz"[n]: brute([r for r in rows if r[0] % 3 == n], 0.05, 0.4) for n in (1, 2)}
+
+
+def test_a_level_is_two_shuffles(spark):
+    """One by pattern and item for the counts; lists come from places in the transactions, with no further one at the first level."""
+    from corrutil.plans import levels
+
+    plans, keep = [], levels.keep
+    try:
+        levels.keep = lambda df, held: plans.append(df._jdf.queryExecution().executedPlan().toString()) or keep(df, held)
+        rows = [(t, i, 5) for t in range(20) for i in "abcd"]
+        levels.mine(Basket(spark.createDataFrame(rows, "tid bigint, item string, u bigint")), "0.1", "0.1", plan="levels")
+    finally:
+        levels.keep = keep
+    counted = [p for p in plans if "keys=[pid" in p and "monotonically" in p]
+    assert counted and all(p.count("hashpartitioning(pid") <= 2 and "Cartesian" not in p and "Python" not in p for p in counted)
+    assert "hashpartitioning(tid" not in counted[0]
