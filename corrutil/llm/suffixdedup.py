@@ -381,16 +381,17 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     again = chunks.groupBy("x", "y").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "first")).alias("least")).where("n > 1").select("x", "y", "least")
     placed = chunks.join(again, ["x", "y"], "left")
     mine = F.col("least").isNull() | F.col("least").eqNullSafe(F.struct("doc_id", "mark", "first"))
-    found = written(
-        placed.select("doc_id", "mark", "first", "last", F.col("least").isNotNull().alias("repeated"), F.when(mine, F.col("anchors")).alias("anchors")), "anchors")
+    found = written(placed.select("doc_id", "mark", "first", "last", F.col("least").isNotNull().alias("repeated"), F.when(mine, F.col("anchors")).alias("anchors")), "anchors")
     discard(chunks)
-    copied = found.where("repeated").select("doc_id", "mark", F.col("first").alias("start"), (F.col("last") + LENGTH).alias("stop"))
+    copied = written(found.where("repeated").select("doc_id", "mark", F.col("first").alias("start"), (F.col("last") + LENGTH).alias("stop")), "copied")
     each = found.where("anchors IS NOT NULL").select("doc_id", "mark", "repeated", F.explode("anchors").alias("e")).select("doc_id", "mark", "repeated", "e.*")
     cores = each.groupBy("core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("core")
     shared = written(each.join(cores, "core", "left_semi"), "shared-anchors")
+    discard(found)
     # An anchor of a repeated chunk stands for more than one place.
     reaches = written(shared.groupBy("core", "reach").agg(F.sum(F.when(F.col("repeated"), 2).otherwise(1)).alias("n"), F.min(F.struct("doc_id", "mark", "place", "low", "high")).alias("at")), "reaches")
-    certain = shared.join(reaches.where("n > 1").select("core", "reach"), ["core", "reach"], "left_semi").select("doc_id", "mark", F.col("low").alias("start"), (F.col("high") + LENGTH).alias("stop"))
+    certain = written(shared.join(reaches.where("n > 1").select("core", "reach"), ["core", "reach"], "left_semi").select("doc_id", "mark", F.col("low").alias("start"), (F.col("high") + LENGTH).alias("stop")), "certain")
+    discard(shared)
     open_cores = reaches.groupBy("core").agg(F.min("n").alias("least"), F.count(F.lit(1)).alias("kinds")).where("least = 1").select("core", (F.col("kinds") > crowd).alias("crowd"))
     wanted = (
         reaches.join(open_cores, "core")
