@@ -86,9 +86,11 @@ def mine(
     rules = Rules(p.least, *list(vars(rules).values())[1:])
     run = _Run(p, rules, held, needed_support and cuts, sibling_filter)
     top = {"levels": 0, "auto": unit_tuples, "prefix": None}[plan]
-    found = run.levels(top, kernel)
-    exact = named(found, p.items, digits=None)
-    return MiningResult(exact.withColumn("kulc", F.round("kulc", 6)), run.counted(), held, exact)
+    # Patterns and the effort of the units come from one pass, and are written once.
+    kept: list[DataFrame] = []
+    every = keep(named(run.levels(top, kernel), p.items, digits=None, effort=True), kept)
+    exact = every.where("pattern IS NOT NULL").drop(*EFFORT, "part")
+    return MiningResult(exact.withColumn("kulc", F.round("kulc", 6)), lambda: run.counted(every), held, exact, kept)
 
 
 class _Run:
@@ -96,6 +98,7 @@ class _Run:
         self.p, self.rules, self.held, self.needed, self.siblings = p, rules, held, needed, siblings
         self.limit = F.lit(rules.least).cast(SUM)
         self.effort: dict[int, dict] = {}
+        self.searches = 0
 
     def keep(self, df: DataFrame) -> DataFrame:
         return keep(df, self.held)
@@ -105,7 +108,10 @@ class _Run:
         for name, n in more.items():
             mine[name] = max(mine[name], n) if name == "peak" else mine[name] + n
 
-    def counted(self) -> list[dict]:
+    def counted(self, every: DataFrame) -> list[dict]:
+        sums = every.where("pattern IS NULL").groupBy("k").agg(*(F.max(e).alias(e) if e == "peak" else F.sum(e).alias(e) for e in EFFORT)).collect()  # a row for each length
+        for row in sums:
+            self.count(row["k"], **{e: row[e] or 0 for e in EFFORT})
         return [{"k": k, **self.effort[k]} for k in sorted(self.effort)]
 
     def judged(self, level: DataFrame, k: int) -> DataFrame:
@@ -144,7 +150,7 @@ class _Run:
         k, lists, before = 1, None, None
         grow, live = self.tally(level, 1, False)
         while True:
-            emitted.append(level.where("emit").select("ranks", F.lit(k).alias("k"), "sup", "iu", "kulc"))
+            emitted.append(level.where("emit").select("ranks", F.lit(k).alias("k"), "sup", "iu", "kulc", *(F.lit(None).cast("bigint").alias(e) for e in [*EFFORT, "part"])))
             if not grow:
                 break
             frontier = level.where("expand").withColumn("most_sup", _most_sup(k, r.cor) if r.ratio else F.lit((1 << 63) - 1))
@@ -204,10 +210,10 @@ class _Run:
         return int(items.coalesce(1).agg(F.coalesce(F.sum("sup"), F.lit(0))).first()[0])
 
     def searched(self, rows: DataFrame, tuples: int, judge: bool, kernel: str) -> DataFrame:
-        found, effort = search_units(rows, tuples, self.rules, judge, self.keep, kernel)
-        for c in effort:
-            self.count(c.pop("k"), **c)
-        return found
+        self.searches += 1
+        found = search_units(rows, tuples, self.rules, judge, kernel)
+        # Effort rows of two tasks may be equal: the task tells them apart.
+        return found.withColumn("part", F.when(F.col("ranks").isNull(), F.spark_partition_id().cast("bigint") + (self.searches << 32)))
 
 
 def _union(frames: list[DataFrame]) -> DataFrame:
@@ -217,11 +223,14 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def named(found: DataFrame, items: DataFrame, digits: int | None = 6) -> DataFrame:
-    """``pattern, k, sup, utility, kulc`` from ranks."""
+def named(found: DataFrame, items: DataFrame, digits: int | None = 6, effort: bool = False) -> DataFrame:
+    """``pattern, k, sup, utility, kulc`` from ranks; with ``effort`` its columns too, and rows without ranks stay."""
     value = F.col("kulc") if digits is None else F.round("kulc", digits).alias("kulc")
-    spelled = found.select("ranks", "k", "sup", "iu", "kulc", F.explode("ranks").alias("item_rank")).join(items.select("item_rank", "item"), "item_rank")
-    return spelled.groupBy("ranks", "k", "sup", "iu", "kulc").agg(pattern_text(F.collect_list("item")).alias("pattern")).select("pattern", F.col("k").cast("int").alias("k"), "sup", F.col("iu").cast("bigint").alias("utility"), value)
+    more = [*EFFORT, "part"] if effort else []
+    each = found.select("ranks", "k", "sup", "iu", "kulc", *more, (F.explode_outer if effort else F.explode)("ranks").alias("item_rank"))
+    spelled = each.join(items.select("item_rank", "item"), "item_rank", "left" if effort else "inner")
+    grouped = spelled.groupBy("ranks", "k", "sup", "iu", "kulc", *more).agg(F.when(F.col("ranks").isNotNull(), pattern_text(F.collect_list("item"))).alias("pattern"))
+    return grouped.select("pattern", F.col("k").cast("int").alias("k"), "sup", F.col("iu").cast("bigint").alias("utility"), value, *more)
 
 
 VARIANTS = {

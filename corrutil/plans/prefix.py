@@ -338,8 +338,8 @@ def _searcher(rules: Rules, judge: bool, kernel: str) -> Callable:
     return run
 
 
-def search_units(units: DataFrame, tuples: int, rules: Rules, judge: bool, keep: Callable[[DataFrame], DataFrame], kernel: str = "tuples") -> tuple[DataFrame, list[dict]]:
-    """Patterns ``ranks, k, sup, iu, kulc`` and the effort of each length.
+def search_units(units: DataFrame, tuples: int, rules: Rules, judge: bool, kernel: str = "tuples") -> DataFrame:
+    """Patterns ``ranks, k, sup, iu, kulc``, and rows without ranks that hold the effort at length k.
 
     units: ``ranks, inv_sup, above, iu, tu, s``, a row for each transaction of a unit; ``tuples``: about how many there
     are. One shuffle by unit; units are dealt to buckets of about ``BUCKET_TUPLES`` rows, a bucket is searched at once.
@@ -349,10 +349,7 @@ def search_units(units: DataFrame, tuples: int, rules: Rules, judge: bool, keep:
     places = F.transform("s", lambda e: F.struct(e["item_rank"].alias("item_rank"), e["u"].alias("u"), e["sup"].alias("sup")))
     dealt = units.select(F.pmod(F.xxhash64("ranks"), F.lit(buckets)).alias("bucket"), "ranks", "inv_sup", F.least("above", F.lit(1 << 62)).cast("bigint").alias("above"), "iu", F.least("tu", F.lit(1 << 62)).cast("bigint").alias("tu"), places.alias("s"))
     # The number of partitions is stated: few large units must not be brought into one task.
-    found = keep(dealt.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(_searcher(rules, judge, kernel), _OUT))
-    sums = found.where("ranks IS NULL").groupBy("k").agg(*(F.max(e).alias(e) if e == "peak" else F.sum(e).alias(e) for e in EFFORT)).collect()
-    counters = [r.asDict() for r in sorted(sums, key=lambda r: r["k"])]
-    return found.where("ranks IS NOT NULL").select("ranks", "k", "sup", "iu", "kulc"), counters
+    return dealt.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(_searcher(rules, judge, kernel), _OUT)
 
 
 __all__ = ["EFFORT", "Rules", "Units", "construct_pair", "dfs", "search", "search_units"]

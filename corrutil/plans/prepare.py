@@ -11,7 +11,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..operators.basket import SUM, rank_items
+from ..operators.basket import ONE_SORT, SUM, rank_items
 from ..scratch import written
 from ..types import Basket, least_utility
 
@@ -27,7 +27,7 @@ def keep(df: DataFrame, held: list[DataFrame]) -> DataFrame:
 class Prepared:
     """tx: ``tid, tu, s``; s: ``item_rank, u, ru, sup`` (and ``qty, profit``) of the promising items by rank.
 
-    total counts all rows, ``ru`` promising items only; ``most`` is the largest support, ``items`` are ``item, item_rank, sup, inv``.
+    total counts all rows, ``ru`` promising items only; ``most`` is the largest support of any item; ``items`` are ``item, item_rank, sup, inv``.
     """
 
     total: int
@@ -56,12 +56,12 @@ def prepare(basket: Basket, min_util, order: str, held: list[DataFrame], extra:
     tx = keep(basket.rows.groupBy("tid").agg(F.sum(F.col("u").cast(SUM)).alias("tu"), F.collect_list(F.struct(*fields)).alias("s")), held)
     flat = tx.select("tid", "tu", F.explode("s").alias("e")).select("tid", "tu", "e.*")
     stats = keep(flat.groupBy("item").agg(F.count(F.lit(1)).alias("sup"), F.sum("tu").cast(SUM).alias("twu"), F.sum(F.col("u").cast(SUM)).cast(SUM).alias("u")), held)
-    whole, different = stats.coalesce(1).agg(F.coalesce(F.sum("u"), F.lit(0)), F.count(F.lit(1))).first()
+    whole, different, most = stats.coalesce(1).agg(F.coalesce(F.sum("u"), F.lit(0)), F.count(F.lit(1)), F.coalesce(F.max("sup"), F.lit(0))).first()
     total = int(whole)
     least = least_utility(min_util, total)
-    ranked = rank_items(stats.where(F.col("twu") >= F.lit(least).cast(SUM)), order, different)
-    items = keep(ranked.select("item", F.col("item_rank").cast("int").alias("item_rank"), "sup", (1 / F.col("sup")).alias("inv")), held)
-    most = items.coalesce(1).agg(F.coalesce(F.max("sup"), F.lit(0))).first()[0]
+    items = rank_items(stats.where(F.col("twu") >= F.lit(least).cast(SUM)), order, different).select("item", F.col("item_rank").cast("int").alias("item_rank"), "sup", (1 / F.col("sup")).alias("inv"))
+    if different > ONE_SORT:
+        items = keep(items, held)
     behind = Window.partitionBy("tid").orderBy(F.desc("item_rank")).rowsBetween(Window.unboundedPreceding, -1)
     places = flat.join(items.select("item", "item_rank", "sup"), "item").withColumn("ru", F.coalesce(F.sum("u").over(behind), F.lit(0)))
     ordered = places.groupBy("tid").agg(F.max("tu").alias("tu"), F.array_sort(F.collect_list(F.struct("item_rank", "u", "ru", "sup", *extra))).alias("s"))

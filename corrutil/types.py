@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from collections.abc import Callable
+from dataclasses import dataclass
 from decimal import Decimal
 from fractions import Fraction
 
@@ -43,25 +44,36 @@ class Basket:
     rejected: DataFrame | None = None
 
 
-@dataclass
 class MiningResult:
-    """patterns: ``pattern, k, sup, utility, kulc``; counters: a dict for each level; exact: kulc not rounded."""
+    """patterns: ``pattern, k, sup, utility, kulc``; counters: a dict for each level; exact: kulc not rounded.
+
+    held: scratch tables of the run; kept: those that the patterns themselves are read from, if they are written.
+    """
+
+    def __init__(self, patterns: DataFrame, counters: list[dict] | Callable[[], list[dict]], held: list[DataFrame], exact: DataFrame | None = None, kept: list[DataFrame] | None = None) -> None:
+        self.patterns, self.held, self.exact, self.kept = patterns, held, exact, kept or []
+        self._counters = counters
 
-    patterns: DataFrame
-    counters: list[dict] = field(default_factory=list)
-    held: list[DataFrame] = field(default_factory=list)
-    exact: DataFrame | None = None
+    @property
+    def counters(self) -> list[dict]:
+        if callable(self._counters):
+            self._counters = self._counters()
+        return self._counters
 
     def total(self, name: str) -> int:
-        return sum(c.get(name, 0) for c in self.counters)
+        return sum(c.get(name, 0) or 0 for c in self.counters)
 
     def close(self) -> None:
-        """Deletes the scratch tables; the patterns must have been read or written before."""
-        delete_tables(*self.held)
+        """Deletes all scratch tables; the patterns must have been read or written before."""
+        delete_tables(*self.held, *self.kept)
         self.held.clear()
+        self.kept.clear()
 
     def settled(self, exact: bool = False) -> DataFrame:
-        """The patterns, written; of the run's scratch tables only this one is left."""
-        out = written(self.exact if exact and self.exact is not None else self.patterns, "patterns")
-        self.close()
+        """The patterns, written; of the run's scratch tables only theirs is left."""
+        out = self.exact if exact and self.exact is not None else self.patterns
+        if not self.kept:
+            out = written(out, "patterns")
+        delete_tables(*self.held)
+        self.held.clear()
         return out
