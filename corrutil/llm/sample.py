@@ -14,16 +14,17 @@ def fold(doc_id: Column, n: int) -> Column:
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, limit: int, *, max_labels: int = 64) -> DataFrame:
     """``label, text`` of at most ``limit`` documents of each label, those with the least hash of their id.
 
-    ``labels``: ``doc_id, <label>``. Only ids are ranked; at most ``limit * max_labels``
-    of them are broadcast to the scan of the texts. Of more labels than
-    ``max_labels`` the commonest are learned. Ids whose hash is far beyond a label's share
-    are dropped before any are ranked, so ranking sees about ``8 * limit`` of each label
-    at any size.
+    ``labels``: ``doc_id, <label>``. Only ids are ranked; at most ``limit * max_labels`` of them are broadcast
+    to the scan of the texts: of more labels than ``max_labels`` each has fewer documents (one
+    at least), none is left out. Ids whose hash is far beyond a label's share are dropped before any are
+    ranked, so ranking sees about ``3 * limit + 50`` of each label at any size.
     """
     one = labels.where(F.col("doc_id").isNotNull() & F.col(label).isNotNull()).select("doc_id", label).dropDuplicates(["doc_id"])
-    top = one.groupBy(label).count().orderBy(F.desc("count"), label).limit(max_labels).select(label, F.least(F.lit(1.0), 8.0 * limit / F.col("count")).alias("__share"))
+    different = one.agg(F.countDistinct(label)).first()[0]
+    limit = max(1, min(limit, limit * max_labels // max(1, different)))
+    top = one.groupBy(label).count().select(label, F.least(F.lit(1.0), (3.0 * limit + 50) / F.col("count")).alias("__share"))
     w = Window.partitionBy(label).orderBy(F.xxhash64("doc_id"), "doc_id")
     near = F.xxhash64("doc_id") / float(1 << 64) + 0.5 <= F.col("__share")
-    ids = one.join(F.broadcast(top), label).where(near).withColumn("__k", F.row_number().over(w)).where(F.col("__k") <= limit).select("doc_id", label)
+    ids = one.join(top, label).where(near).withColumn("__k", F.row_number().over(w)).where(F.col("__k") <= limit).select("doc_id", label)
     texts = docs.where(F.col("text").isNotNull()).select("doc_id", F.col("text").cast("binary").alias("text"))
     return texts.join(F.broadcast(ids), "doc_id").orderBy(F.xxhash64("doc_id"), F.xxhash64("text")).select(label, "text")
