@@ -26,8 +26,8 @@ b AS (SELECT *, array_to_string(list_transform(range(1, 41), lambda i: lpad(bin(
 e AS (SELECT page_id, n, hex, array_to_string(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
         1 + list_sum(list_transform(range(1, 6), lambda j: CAST(substr(bits, 5 * i + j, 1) AS INT) * CAST(pow(2, 5 - j) AS INT)))::INT, 1)), '') AS digest FROM b),
 m AS (SELECT *, max(page_id) OVER (PARTITION BY hex) AS top FROM e)
-SELECT page_id, CAST(n AS BIGINT) AS payload_bytes, digest AS payload_digest, CASE WHEN page_id < top THEN 'revisit' ELSE 'response' END AS record_type,
-       CASE WHEN page_id < top THEN top END AS refers_to FROM m
+SELECT page_id, CAST(n AS BIGINT) AS payload_bytes, digest AS payload_digest, CASE WHEN page_id < top OR page_id IS NULL AND top IS NOT NULL THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN page_id < top OR page_id IS NULL AND top IS NOT NULL THEN top END AS refers_to FROM m
 """
 
 ORACLE_SQL = {"op6_warc": OP6_SQL, "op9_url_filter": OP9_SQL}

@@ -161,16 +161,26 @@ def revisits(pages: DataFrame, *, id_col: str = "page_id", body_col: str = "html
     body = F.coalesce(F.col(body_col).cast("binary"), F.lit(b""))
     seen = pages.where(F.octet_length(body) >= min_bytes).select(F.col(id_col).cast("bigint").alias("page"), F.sha1(body).alias("digest"))
     first = seen.groupBy("digest").agg(F.max("page").alias("refers_to"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    return seen.join(first, "digest").where("page < refers_to").select("page", "digest", "refers_to").distinct()
+    # A row without an id loses to any that has one.
+    return seen.join(first.where("refers_to IS NOT NULL"), "digest").where("page IS NULL OR page < refers_to").select("page", "digest", "refers_to").distinct()
 
 
-def write_archives(pages: DataFrame, path: str, *, id_col: str = "page_id", url_col: str = "url", body_col: str = "html", min_bytes: int = 0, dictionary: bytes | None = None) -> str:
-    """A ``.warc.zst`` file for each task under ``path``."""
+def _stored_bytes(df: DataFrame) -> int:
+    """Spark's own estimate, from file sizes: no job."""
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
+def write_archives(pages: DataFrame, path: str, *, id_col: str = "page_id", url_col: str = "url", body_col: str = "html", min_bytes: int = 0, dictionary: bytes | None = None, archive_bytes: int = 128 << 20) -> str:
+    """Archives under ``path``, one for each task, of about ``archive_bytes`` of the input's stored bytes: a reader holds one whole."""
     dictionary = build_dictionary(pages, id_col=id_col, url_col=url_col, body_col=body_col) if dictionary is None else dictionary
     shared = pages.sparkSession.sparkContext.broadcast(dictionary)
     body = F.coalesce(F.col(body_col).cast("binary"), F.lit(b""))
     rows = pages.select(F.col(id_col).cast("bigint").alias("page"), F.col(url_col).cast("string").alias("url"), body.alias("body")).withColumn("digest", F.sha1("body"))
-    marked = rows.join(revisits(pages, id_col=id_col, body_col=body_col, min_bytes=min_bytes), ["page", "digest"], "left").select("page", "url", "body", "refers_to")
+    spark = pages.sparkSession
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-_stored_bytes(pages) // archive_bytes))
+    own = F.coalesce("page", F.lit(-(1 << 63))).alias("own")
+    again = revisits(pages, id_col=id_col, body_col=body_col, min_bytes=min_bytes).select(own, "digest", "refers_to")
+    marked = rows.withColumn("own", own).repartition(parts, "own", "digest").join(again, ["own", "digest"], "left").select("page", "url", "body", "refers_to")
     marked.mapInArrow(_pack(shared), "frame binary").select(F.col("frame").cast("string").alias("value")).write.option("lineSep", BETWEEN).text(path)
     return path
 
