@@ -11,8 +11,8 @@ key takes the deepest rule of that stack that still covers it. That is complete:
 every rule between the innermost covering rule and the key in sort order has the
 former as prefix, so it is on the stack of the last rule passed.
 
-A popular host (all of ``com``) is dealt over ``salts`` sweeps, each of which gets
-the rules of that host again, so no task holds all keys of one host.
+A popular host (all of ``com``) is dealt over as many sweeps as its keys ask for, ``sweep_keys`` in each,
+and each gets the rules of that host again, so no task holds all keys of one host.
 
 Edge cases: a null url, or one without ``://``, has an empty host and path and gets
 the default verdict; repeated rows stay as often as they are; of equal rules with
@@ -68,7 +68,7 @@ def stacks(rules: DataFrame) -> DataFrame:
     )
 
 
-def judge_urls(pages: DataFrame, rules: DataFrame, *, id_col: str = "page_id", url_col: str = "url", default: str = "allow", salts: int = 32) -> DataFrame:
+def judge_urls(pages: DataFrame, rules: DataFrame, *, id_col: str = "page_id", url_col: str = "url", default: str = "allow", sweep_keys: int = 250_000) -> DataFrame:
     """``id_col, host, path, rule, verdict`` of each row; rules: ``host, path, verdict``."""
     host, path = host_and_path(F.col("__url"))
     urls = pages.select(F.col(id_col).alias("__id"), F.col(url_col).alias("__url")).select("__id", host.alias("host"), path.alias("path"))
@@ -77,11 +77,13 @@ def judge_urls(pages: DataFrame, rules: DataFrame, *, id_col: str = "page_id", u
 
     keys = urls.withColumn("__anc", ancestors(F.col("host"))).withColumn("__n", F.size("__anc"))
     exploded = keys.select("__id", "host", "path", "__n", F.explode_outer("__anc").alias("anc"))
-    salt = F.pmod(F.xxhash64("__id", "path"), F.lit(salts)).cast("int")
-    points = exploded.select("anc", salt.alias("salt"), F.concat("anc", F.lit(MARK), "path").alias("key"), F.lit(1).alias("kind"), "__id", "host", "path", "__n", F.lit(None).cast(rule_stacks.schema["stack"].dataType).alias("stack"))
-    opened = rule_stacks.select("anc", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"), F.concat("anc", F.lit(MARK), "path").alias("key"), F.lit(0).alias("kind"), F.lit(None).cast(urls.schema["__id"].dataType).alias("__id"), F.lit(None).cast("string").alias("host"), F.lit(None).cast("string").alias("path"), F.lit(None).cast("int").alias("__n"), "stack")
+    # Counted before anything is shuffled; one row for each host that has rules and keys.
+    sized = exploded.select("anc").join(named, "anc", "left_semi").groupBy("anc").agg(F.ceil(F.count(F.lit(1)) / sweep_keys).cast("int").alias("salts"))
+    points = exploded.select("anc", F.concat("anc", F.lit(MARK), "path").alias("key"), F.lit(1).alias("kind"), "__id", "host", "path", "__n", F.lit(None).cast(rule_stacks.schema["stack"].dataType).alias("stack"))
+    opened = rule_stacks.join(sized, "anc").select("anc", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.concat("anc", F.lit(MARK), "path").alias("key"), F.lit(0).alias("kind"), F.lit(None).cast(urls.schema["__id"].dataType).alias("__id"), F.lit(None).cast("string").alias("host"), F.lit(None).cast("string").alias("path"), F.lit(None).cast("int").alias("__n"), "stack")
     # Keys under hosts that no rule names need no sweep.
-    swept = points.join(named, "anc", "left_semi").unionByName(opened)
+    salt = F.pmod(F.xxhash64("__id", "path"), F.col("salts")).cast("int")
+    swept = points.join(sized, "anc").withColumn("salt", salt).drop("salts").unionByName(opened)
     idle = points.join(named, "anc", "left_anti").select("__id", "host", "path", "__n", F.lit(None).cast("struct<len:int,rule:string,verdict:string>").alias("hit"))
 
     sweep = "last_value(stack) IGNORE NULLS OVER (PARTITION BY anc, salt ORDER BY key, kind ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)"
