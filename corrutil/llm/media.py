@@ -23,13 +23,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .arrow import texts
+from .arrow import bounded_batches, pieces, texts
 from .scratch import written
 
 SIGNATURE = b"\x89PNG\r\n\x1a\n"
 WIDTH = 64
 #: Columns of the small image and of the kept low frequencies.
 SIDE, LOW = 32, 8
+#: Bytes of texts or images that are worked on at once; a longer one is alone.
+PART = 2 << 20
 
 
 def _chunk(kind: bytes, body: bytes) -> bytes:
@@ -142,8 +144,7 @@ def cosine_hash(samples: np.ndarray) -> str:
 
 def encode_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for a in range(0, batch.num_rows, 256):
-            part = batch.slice(a, 256)
+        for part in pieces(batch, "text", PART):
             bodies = texts(part.column(1))
             images = [png_encode(t + bytes(-len(t) % WIDTH or (0 if t else WIDTH))) for t in bodies]
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(t) for t in bodies], pa.int64()), pa.array(images, pa.binary())], ["id", "n_bytes", "media"])
@@ -151,8 +152,7 @@ def encode_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 
 def decode_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for a in range(0, batch.num_rows, 256):
-            part = batch.slice(a, 256)
+        for part in pieces(batch, "media", PART):
             rows = []
             for image in texts(part.column(2)):
                 samples = png_decode(image)
@@ -165,6 +165,7 @@ def decode_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 
 def store_images(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id, n_bytes, media``: each text's bytes as a PNG in a binary column."""
+    bounded_batches(docs.sparkSession)
     id_type = docs.schema[id_col].dataType.simpleString()
     return docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(encode_batches, f"id {id_type}, n_bytes bigint, media binary")
 
