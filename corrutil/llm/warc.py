@@ -165,9 +165,12 @@ def revisits(pages: DataFrame, *, id_col: str = "page_id", body_col: str = "html
     return seen.join(first.where("refers_to IS NOT NULL"), "digest").where("page IS NULL OR page < refers_to").select("page", "digest", "refers_to").distinct()
 
 
-def _stored_bytes(df: DataFrame) -> int:
-    """Spark's own estimate, from file sizes: no job."""
-    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+def _stored_bytes(df: DataFrame, body_col: str) -> int:
+    """Spark's own estimate, from file sizes without a job; where it knows none, the bodies' bytes."""
+    known = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if known < 1 << 60:
+        return known
+    return df.agg(F.coalesce(F.sum(F.octet_length(F.col(body_col).cast("binary"))), F.lit(0))).first()[0]
 
 
 def write_archives(pages: DataFrame, path: str, *, id_col: str = "page_id", url_col: str = "url", body_col: str = "html", min_bytes: int = 0, dictionary: bytes | None = None, archive_bytes: int = 128 << 20) -> str:
@@ -177,7 +180,7 @@ def write_archives(pages: DataFrame, path: str, *, id_col: str = "page_id", url_
     body = F.coalesce(F.col(body_col).cast("binary"), F.lit(b""))
     rows = pages.select(F.col(id_col).cast("bigint").alias("page"), F.col(url_col).cast("string").alias("url"), body.alias("body")).withColumn("digest", F.sha1("body"))
     spark = pages.sparkSession
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-_stored_bytes(pages) // archive_bytes))
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-_stored_bytes(pages, body_col) // archive_bytes))
     own = F.coalesce("page", F.lit(-(1 << 63))).alias("own")
     again = revisits(pages, id_col=id_col, body_col=body_col, min_bytes=min_bytes).select(own, "digest", "refers_to")
     marked = rows.withColumn("own", own).repartition(parts, "own", "digest").join(again, ["own", "digest"], "left").select("page", "url", "body", "refers_to")
