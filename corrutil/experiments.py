@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .plans.baselines import mine_projection
 from .plans.levels import VARIANTS, mine_variant
+from .scratch import delete_tables, written
 from .types import Basket, MiningResult
 
 #: What is compared: four variants of the correlated miner, and the projection baseline.
@@ -23,15 +24,17 @@ def effort(basket: Basket, pairs: Iterable[tuple[str, str]], methods: Iterable[s
 
     Nodes visited, pairs of lists that met, pairs cut by the joint bound, patterns found, and list entries of the visited.
     """
-    rows = []
+    spark = basket.rows.sparkSession
+    rows, basket = [], Basket(written(basket.rows, "basket"))
     for util, cor in pairs:
         for name in methods:
             r = METHODS[name](basket, util, cor)
             n = r.patterns.count()
             rows.append((name, str(util), str(cor), *(r.total(x) for x in ("visited", "joined", "la_cut")), n, r.total("tuples")))
             r.close()
+    delete_tables(basket.rows)
     schema = "method string, min_util string, min_cor string, visited bigint, joined bigint, la_cut bigint, patterns bigint, tuples bigint"
-    return basket.rows.sparkSession.createDataFrame(rows, schema)
+    return spark.createDataFrame(rows, schema)
 
 
 def _pools(spark: SparkSession) -> list:

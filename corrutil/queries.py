@@ -152,9 +152,9 @@ for _variant in ("ubu", "ubu_spk", "ubu_la", "all"):
 
 
 #: Thresholds at which the ablation is measured, from few patterns to many.
-EFFORT_W3 = [("0.05", "0.3"), ("0.01", "0.3"), ("0.01", "0.2")]
+EFFORT_W3 = [("0.05", "0.3"), ("0.01", "0.2")]
 #: Dense transactions: what cutting by correlation saves.
-EFFORT_W13 = [("0.1", "0.3"), ("0.06", "0.3"), ("0.06", "0.2")]
+EFFORT_W13 = [("0.1", "0.3"), ("0.06", "0.2")]
 
 
 def effort_sql(view: str, pairs: list[tuple[str, str]]) -> str:
