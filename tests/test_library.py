@@ -13,7 +13,7 @@ from corrutil.workloads import VIEWS
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: One of each kind; the driver compares all.
-CHECKED = ["item_rank_w3", "remaining_utility_w3", "pair_la_bound_w3", "pair_kulc_w3", "mine_w1", "mine_w3", "mine_levels_w3", "mine_w7", "plain_w3", "plain_projected_w3", "two_phase_w3", "tree_growth_w3", "projection_w3", "projection_candidates_w3", "affinity_w3", "grid_monotone_w3", "class_overlap_w3", "closed_w3", "maximal_w3", "recommend_w3", "measures_w3", "rules_w3", "utility_sets", "stream_session_baskets", "stream_item_stats_sliding"]
+CHECKED = ["item_rank_w3", "remaining_utility_w3", "pair_la_bound_w3", "pair_kulc_w3", "mine_w1", "mine_w3", "mine_levels_w3", "mine_w7", "plain_w3", "plain_projected_w3", "two_phase_w3", "tree_growth_w3", "projection_w3", "projection_candidates_w3", "affinity_w3", "grid_monotone_w3", "class_overlap_w3", "closed_w3", "maximal_w3", "recommend_w3", "measures_w3", "rules_w3", "utility_sets", "class_counts_w3a", "class_overlap_all_w3", "exactness_w3", "affinity_of_patterns_w3", "top_k_by_lift_w3", "utility_share_w3", "segment_mine_w3", "bench_w13", "mine_lists_w4", "mine_hybrid_w2", "stream_item_twu_day", "stream_window_mine", "stream_session_baskets", "stream_item_stats_sliding"]
 
 pytestmark = pytest.mark.skipif(not os.path.isdir(SF), reason="no test data")
 
