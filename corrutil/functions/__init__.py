@@ -9,6 +9,10 @@ from pyspark.sql import functions as F
 EPS = 1e-9
 
 
+#: Added before rounding, so that an exact half goes up whatever the order of its sums left in the last bits.
+TIE = 1e-12
+
+
 def _col(c: Column | str) -> Column:
     return F.col(c) if isinstance(c, str) else c
 
@@ -18,6 +22,11 @@ def kulc(sup: Column | str, inv_sup: Column | str, k: Column | str) -> Column:
     return _col(sup) * _col(inv_sup) / _col(k)
 
 
+def shown(value: Column | str, digits: int = 6) -> Column:
+    """A measure rounded for output."""
+    return F.round(_col(value) + TIE, digits)
+
+
 def correlation_kind(value: Column | str, eps: float = EPS) -> Column:
     """positive, none or negative, around the null-invariant neutral point 0.5."""
     v = _col(value)

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import all_confidence, coherence, correlation_kind, cosine, kulc, lift, max_confidence
+from ..functions import all_confidence, coherence, correlation_kind, cosine, kulc, lift, max_confidence, shown
 from ..types import Basket
 
 #: Sums of utilities; at 100 TB a 64-bit total overflows.
@@ -141,5 +141,5 @@ def interest_measures(basket: Basket, patterns: DataFrame) -> DataFrame:
     both = both.crossJoin(F.broadcast(whole))  # one row
     value = kulc("sup", "inv", "k")
     r = lambda c: F.round(c, 6)
-    return both.select("pattern", F.col("k").cast("int").alias("k"), "sup", r(value).alias("kulc"), correlation_kind(value).alias("kind"), r(all_confidence("sup", "most")).alias("all_confidence"), r(max_confidence("sup", "least")).alias("max_confidence"), r(coherence("sup", "union_sup")).alias("coherence"), r(cosine("sup", "logs", "k")).alias("cosine"), r(lift("sup", "logs", "k", "whole")).alias("lift"))
+    return both.select("pattern", F.col("k").cast("int").alias("k"), "sup", shown(value).alias("kulc"), correlation_kind(value).alias("kind"), r(all_confidence("sup", "most")).alias("all_confidence"), r(max_confidence("sup", "least")).alias("max_confidence"), r(coherence("sup", "union_sup")).alias("coherence"), r(cosine("sup", "logs", "k")).alias("cosine"), r(lift("sup", "logs", "k", "whole")).alias("lift"))
 

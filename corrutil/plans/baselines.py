@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import EPS, pattern_text
+from ..functions import EPS, pattern_text, shown
 from ..operators.basket import SUM
 from ..types import Basket, MiningResult, ratio
 from .levels import mine, named
@@ -216,7 +216,7 @@ def mine_exhaustive(basket: Basket, *, max_items: int = 16) -> DataFrame:
     every = whole.select(F.explode(subsets).alias("x")).where("size(x.items) > 0").groupBy(F.col("x.items").alias("items")).agg(F.count(F.lit(1)).alias("sup"), F.sum("x.u").cast("bigint").alias("utility"))
     one = basket.rows.groupBy("item").agg((1 / F.count(F.lit(1))).alias("inv"))
     inv = every.select("items", F.explode("items").alias("item")).join(one, "item").groupBy("items").agg(F.sum("inv").alias("inv"))
-    return every.join(inv, "items").select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("k"), "sup", "utility", F.round(F.col("sup") * F.col("inv") / F.size("items"), 6).alias("kulc"))
+    return every.join(inv, "items").select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("k"), "sup", "utility", shown(F.col("sup") * F.col("inv") / F.size("items")).alias("kulc"))
 
 
 class _Node:

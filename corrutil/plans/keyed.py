@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import EPS, pattern_text
+from ..functions import EPS, pattern_text, shown
 from ..operators.basket import SUM
 from ..scratch import delete_tables
 from ..scratch import written as scratch
@@ -61,7 +61,7 @@ def mine_keyed(rows: DataFrame, key: str, min_util, min_cor) -> DataFrame:
     for more in emitted[1:]:
         out = out.unionByName(more)
     spelled = out.withColumn("item_rank", F.explode("ranks")).join(items.select("g", "item_rank", "item"), ["g", "item_rank"])
-    found = spelled.groupBy("g", "ranks", "k", "sup", "iu", "kulc").agg(pattern_text(F.collect_list("item")).alias("pattern")).select("pattern", "k", "sup", F.col("iu").cast("bigint").alias("utility"), F.round("kulc", 6).alias("kulc"), F.col("g").alias(key))
+    found = spelled.groupBy("g", "ranks", "k", "sup", "iu", "kulc").agg(pattern_text(F.collect_list("item")).alias("pattern")).select("pattern", "k", "sup", F.col("iu").cast("bigint").alias("utility"), shown("kulc").alias("kulc"), F.col("g").alias(key))
     out = scratch(found, "patterns")
     delete_tables(*held)
     return out

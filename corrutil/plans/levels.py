@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import EPS, pattern_text
+from ..functions import EPS, pattern_text, shown
 from ..operators.basket import SUM
 from ..types import Basket, MiningResult, ratio
 from .prefix import EFFORT, Rules, search_units
@@ -90,7 +90,7 @@ def mine(
     kept: list[DataFrame] = []
     every = keep(named(run.levels(top, kernel), p.items, digits=None, effort=True), kept)
     exact = every.where("pattern IS NOT NULL").drop(*EFFORT, "part")
-    return MiningResult(exact.withColumn("kulc", F.round("kulc", 6)), lambda: run.counted(every), held, exact, kept)
+    return MiningResult(exact.withColumn("kulc", shown("kulc")), lambda: run.counted(every), held, exact, kept)
 
 
 class _Run:
@@ -225,7 +225,7 @@ def _union(frames: list[DataFrame]) -> DataFrame:
 
 def named(found: DataFrame, items: DataFrame, digits: int | None = 6, effort: bool = False) -> DataFrame:
     """``pattern, k, sup, utility, kulc`` from ranks; with ``effort`` its columns too, and rows without ranks stay."""
-    value = F.col("kulc") if digits is None else F.round("kulc", digits).alias("kulc")
+    value = F.col("kulc") if digits is None else shown("kulc", digits).alias("kulc")
     more = [*EFFORT, "part"] if effort else []
     each = found.select("ranks", "k", "sup", "iu", "kulc", *more, (F.explode_outer if effort else F.explode)("ranks").alias("item_rank"))
     spelled = each.join(items.select("item_rank", "item"), "item_rank", "left" if effort else "inner")

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import experiments, streaming
-from .functions import cents, correlation_kind, kulc
+from .functions import cents, correlation_kind, kulc, shown
 from .operators import analysis
 from .operators import basket as ops
 from .plans import baselines
@@ -68,7 +68,7 @@ c AS (SELECT array_to_string(list_sort(list(o.item)), ',') AS pattern, CAST(len(
 
 
 def deep_sql(view: str, util: str, cor: str) -> str:
-    return levels_sql(view, util, cor) + "SELECT pattern, k, sup, utility, round(kulc, 6) AS kulc FROM c"
+    return levels_sql(view, util, cor) + "SELECT pattern, k, sup, utility, round(kulc + 1e-12, 6) AS kulc FROM c"
 
 
 def _at_least(util: str, column: str = "utility") -> str:
@@ -77,7 +77,7 @@ def _at_least(util: str, column: str = "utility") -> str:
 
 
 def mined_sql(view: str, util: str, cor: str) -> str:
-    return powerset(view) + f"SELECT pattern, k, sup, utility, round(kulc, 6) AS kulc FROM c WHERE {_at_least(util)} AND kulc >= {cor} - 1e-9"
+    return powerset(view) + f"SELECT pattern, k, sup, utility, round(kulc + 1e-12, 6) AS kulc FROM c WHERE {_at_least(util)} AND kulc >= {cor} - 1e-9"
 
 
 def _mined(view: str, util: str, cor: str, **how):
@@ -120,14 +120,14 @@ def _pair_kulc(spark: SparkSession, sf: str) -> DataFrame:
     n = _pairs(spark, sf).groupBy("x", "y").agg(F.count(F.lit(1)).alias("sup"))
     both = n.join(sups.select(F.col("item").alias("x"), F.col("sup").alias("sx")), "x").join(sups.select(F.col("item").alias("y"), F.col("sup").alias("sy")), "y")
     value = kulc("sup", 1 / F.col("sx") + 1 / F.col("sy"), F.lit(2))
-    return both.select("x", "y", "sup", F.round(value, 6).alias("kulc"), correlation_kind(value).alias("kind"))
+    return both.select("x", "y", "sup", shown(value).alias("kulc"), correlation_kind(value).alias("kind"))
 
 
 _add("pair_lists_w3", lambda s, d: _pairs(s, d).select("x", "y", "tid", "iu", "ru"), _pair + " SELECT x, y, tid, CAST(iu AS BIGINT) AS iu, ru FROM e")
 _add("pair_twu_w3", lambda s, d: _pairs(s, d).groupBy("x", "y").agg(F.sum("tu").alias("twu")), _pair + " SELECT x, y, CAST(sum(tu) AS BIGINT) AS twu FROM e GROUP BY x, y")
 _add("pair_la_bound_w3", lambda s, d: _pairs(s, d).groupBy("x", "y").agg(F.sum("joint").alias("joint"), F.sum(F.col("iu") + F.col("ru")).alias("ub")), _pair + " SELECT x, y, CAST(sum(joint) AS BIGINT) AS joint, CAST(sum(iu + ru) AS BIGINT) AS ub FROM e GROUP BY x, y")
 _kind = "CASE WHEN v > 0.5 + 1e-9 THEN 'positive' WHEN v < 0.5 - 1e-9 THEN 'negative' ELSE 'none' END AS kind"
-_add("pair_kulc_w3", _pair_kulc, _pair + f" SELECT x, y, sup, round(v, 6) AS kulc, {_kind} FROM (SELECT x, y, count(*) AS sup, count(*) * (1::DOUBLE / max(sx.sup) + 1::DOUBLE / max(sy.sup)) / 2 AS v FROM e JOIN st sx ON sx.item = x JOIN st sy ON sy.item = y GROUP BY x, y)")
+_add("pair_kulc_w3", _pair_kulc, _pair + f" SELECT x, y, sup, round(v + 1e-12, 6) AS kulc, {_kind} FROM (SELECT x, y, count(*) AS sup, count(*) * (1::DOUBLE / max(sx.sup) + 1::DOUBLE / max(sy.sup)) / 2 AS v FROM e JOIN st sx ON sx.item = x JOIN st sy ON sy.item = y GROUP BY x, y)")
 
 # The correlated miner on every view. SQL lists all subsets where transactions are short, else it goes by levels.
 MINED = {
@@ -209,7 +209,7 @@ _add("tree_growth_w3", lambda s, d: baselines.mine_tree_growth(VIEWS["w3"](s, d)
 _add("tree_growth_w1", lambda s, d: baselines.mine_tree_growth(VIEWS["w1"](s, d), "0.0002").settled(), mined_sql("w1", "0.0002", "0"))
 _add("projection_w3", lambda s, d: baselines.mine_projection(VIEWS["w3"](s, d), "0.01", "0.2").settled(), mined_sql("w3", "0.01", "0.2"))
 _add("projection_w4", lambda s, d: baselines.mine_projection(VIEWS["w4"](s, d), "0.07", "0.65").settled(), deep_sql("w4", "0.07", "0.65"))
-_add("exhaustive_w3", lambda s, d: baselines.mine_exhaustive(VIEWS["w3"](s, d)), powerset("w3") + "SELECT pattern, k, sup, utility, round(kulc, 6) AS kulc FROM c")
+_add("exhaustive_w3", lambda s, d: baselines.mine_exhaustive(VIEWS["w3"](s, d)), powerset("w3") + "SELECT pattern, k, sup, utility, round(kulc + 1e-12, 6) AS kulc FROM c")
 _twu = "tw AS (SELECT items, CAST(sum(tu) AS BIGINT) AS twu FROM p JOIN (SELECT tid, sum(u) AS tu FROM b GROUP BY tid) x USING (tid) GROUP BY items)"
 _add("projection_candidates_w3", lambda s, d: baselines.projection_candidates(VIEWS["w3"](s, d), "0.05", "0.2").settled(), powerset("w3").rstrip() + ", " + _twu + f" SELECT pattern, k, sup, twu FROM c JOIN tw USING (items) WHERE {_at_least('0.05', 'twu')} AND kulc >= 0.2 - 1e-9")
 
@@ -284,18 +284,18 @@ for _v, (_us, _cs) in CLASSES.items():
     _add(f"class_counts_{_v}", lambda s, d, v=_v, us=_us, cs=_cs: analysis.class_counts(VIEWS[v](s, d), us, cs), classes_sql(_v, _us, _cs))
 
 # What is asked of patterns
-_chu = powerset("w3").rstrip() + f", m AS (SELECT pattern, k, sup, utility, round(kulc, 6) AS kulc, items FROM c WHERE {_at_least('0.01')} AND kulc >= 0.2 - 1e-9), h AS (SELECT * FROM c WHERE {_at_least('0.01')})"
+_chu = powerset("w3").rstrip() + f", m AS (SELECT pattern, k, sup, utility, round(kulc + 1e-12, 6) AS kulc, items FROM c WHERE {_at_least('0.01')} AND kulc >= 0.2 - 1e-9), h AS (SELECT * FROM c WHERE {_at_least('0.01')})"
 _cols = "pattern, k, sup, utility, kulc"
 _p3 = _mined("w3", "0.01", "0.2")
 _add("class_overlap_w3", lambda s, d: analysis.pattern_overlap(_p3(s, d), baselines.mine_plain(VIEWS["w3"](s, d), "0.01").settled()), _chu + " SELECT count(*) FILTER (WHERE a IS NOT NULL AND z IS NOT NULL) AS both, count(*) FILTER (WHERE z IS NULL) AS only_a, count(*) FILTER (WHERE a IS NULL) AS only_b, round(count(*) FILTER (WHERE a IS NOT NULL AND z IS NOT NULL)::DOUBLE / count(*), 6) AS jaccard FROM (SELECT m.pattern AS a, h.pattern AS z FROM m FULL JOIN h USING (pattern))")
-_add("by_chance_w1", lambda s, d: analysis.by_chance(baselines.mine_plain(VIEWS["w1"](s, d), "0.0001").settled(), _mined("w1", "0.0001", "0.05")(s, d)), powerset("w1") + f"SELECT pattern, k, sup, utility, round(kulc, 6) AS kulc FROM c WHERE {_at_least('0.0001')} AND kulc < 0.05 - 1e-9")
+_add("by_chance_w1", lambda s, d: analysis.by_chance(baselines.mine_plain(VIEWS["w1"](s, d), "0.0001").settled(), _mined("w1", "0.0001", "0.05")(s, d)), powerset("w1") + f"SELECT pattern, k, sup, utility, round(kulc + 1e-12, 6) AS kulc FROM c WHERE {_at_least('0.0001')} AND kulc < 0.05 - 1e-9")
 _three = levels_sql("w3a", "0.01", "0").rstrip() + ", " + affinity_deep_sql("w3a", "0.01") + f", a AS (SELECT array_to_string(x, ',') AS pattern FROM af WHERE {_at_least('0.01', 'au')})"
 _add(
     "class_overlap_all_w3",
     lambda s, d: analysis.overlap_of_classes(*_classes3(s, d)),
     _three + ", y AS (SELECT true AS hup, coalesce(kulc >= 0.2 - 1e-9, false) AS chu, a.pattern IS NOT NULL AS ahu FROM c LEFT JOIN a USING (pattern) UNION ALL SELECT false, false, true FROM a WHERE pattern NOT IN (SELECT pattern FROM c)) SELECT hup, chu, ahu, count(*) AS patterns FROM y GROUP BY ALL",
 )
-_add("correlated_and_affine_w3", lambda s, d: analysis.in_both(_classes3(s, d)[1], _classes3(s, d)[2]), _three + f" SELECT {_cols.replace('kulc', 'round(kulc, 6) AS kulc')} FROM c JOIN a USING (pattern) WHERE kulc >= 0.2 - 1e-9")
+_add("correlated_and_affine_w3", lambda s, d: analysis.in_both(_classes3(s, d)[1], _classes3(s, d)[2]), _three + f" SELECT {_cols.replace('kulc', 'round(kulc + 1e-12, 6) AS kulc')} FROM c JOIN a USING (pattern) WHERE kulc >= 0.2 - 1e-9")
 _add(
     "exactness_w3",
     lambda s, d: analysis.exactness(_p3(s, d), baselines.mine_exhaustive(VIEWS["w3"](s, d)).join(_mined("w3", "0.01", "0")(s, d).select("pattern"), "pattern", "left_semi").where("kulc >= 0.2")),
@@ -324,7 +324,7 @@ _add(
     lambda s, d: ops.interest_measures(VIEWS["w3"](s, d), _p3(s, d)),
     _chu + """, n AS (SELECT m.pattern, min(o.n) AS least, max(o.n) AS most, sum(ln(o.n)) AS logs FROM (SELECT pattern, unnest(items) AS item FROM m) m JOIN o USING (item) GROUP BY 1),
 un AS (SELECT m.pattern, count(DISTINCT b.tid) AS union_sup FROM (SELECT pattern, unnest(items) AS item FROM m) m JOIN b USING (item) GROUP BY 1), x AS (SELECT m.*, c.kulc AS v FROM m JOIN c USING (pattern))
-SELECT pattern, k, sup, round(v, 6) AS kulc, """ + _kind + """, round(sup::DOUBLE / most, 6) AS all_confidence, round(sup::DOUBLE / least, 6) AS max_confidence, round(sup::DOUBLE / union_sup, 6) AS coherence, round(sup / exp(logs / k), 6) AS cosine, round(exp(ln(sup) + (k - 1) * ln((SELECT count(DISTINCT tid) FROM b)) - logs), 6) AS lift FROM x JOIN n USING (pattern) JOIN un USING (pattern)""",
+SELECT pattern, k, sup, round(v + 1e-12, 6) AS kulc, """ + _kind + """, round(sup::DOUBLE / most, 6) AS all_confidence, round(sup::DOUBLE / least, 6) AS max_confidence, round(sup::DOUBLE / union_sup, 6) AS coherence, round(sup / exp(logs / k), 6) AS cosine, round(exp(ln(sup) + (k - 1) * ln((SELECT count(DISTINCT tid) FROM b)) - logs), 6) AS lift FROM x JOIN n USING (pattern) JOIN un USING (pattern)""",
 )
 _add("itemset_utility_w3", lambda s, d: ops.itemset_utility(VIEWS["w3"](s, d), _p3(s, d)), powerset("w3").rstrip() + ", " + _twu + f" SELECT pattern, utility, sup, twu FROM c JOIN tw USING (items) WHERE {_at_least('0.01')} AND kulc >= 0.2 - 1e-9")
 _add(
@@ -353,7 +353,7 @@ p(g, tid, items, last, u) AS (SELECT g, tid, [item], item, u FROM b UNION ALL SE
 o AS (SELECT g, item, count(*) AS n FROM b GROUP BY 1, 2), t AS (SELECT g, sum(u) AS total FROM b GROUP BY 1),
 s AS (SELECT g, items, array_to_string(items, ',') AS pattern, count(*) AS sup, sum(u) AS utility FROM p GROUP BY 1, 2),
 i AS (SELECT x.g, pattern, sum(1::DOUBLE / n) AS inv FROM (SELECT g, pattern, unnest(items) AS item FROM s) x JOIN o ON o.g = x.g AND o.item = x.item GROUP BY 1, 2)
-SELECT s.pattern, CAST(len(items) AS INT) AS k, sup, CAST(utility AS BIGINT) AS utility, round(sup * inv / len(items), 6) AS kulc, s.g AS segment FROM s JOIN i ON s.g = i.g AND s.pattern = i.pattern JOIN t ON t.g = s.g WHERE CAST(utility AS HUGEINT) * 50 >= total AND sup * inv / len(items) >= 0.2 - 1e-9""")
+SELECT s.pattern, CAST(len(items) AS INT) AS k, sup, CAST(utility AS BIGINT) AS utility, round(sup * inv / len(items) + 1e-12, 6) AS kulc, s.g AS segment FROM s JOIN i ON s.g = i.g AND s.pattern = i.pattern JOIN t ON t.g = s.g WHERE CAST(utility AS HUGEINT) * 50 >= total AND sup * inv / len(items) >= 0.2 - 1e-9""")
 
 
 def _located(spark: SparkSession, sf: str) -> DataFrame:
@@ -418,6 +418,6 @@ p(g, tid, items, last, u) AS (SELECT g, tid, [item], item, u FROM b UNION ALL SE
 o AS (SELECT g, item, count(*) AS n FROM b GROUP BY 1, 2), t AS (SELECT g, sum(u) AS total FROM b GROUP BY 1),
 s AS (SELECT g, items, array_to_string(items, ',') AS pattern, count(*) AS sup, sum(u) AS utility FROM p GROUP BY 1, 2),
 i AS (SELECT x.g, pattern, sum(1::DOUBLE / n) AS inv FROM (SELECT g, pattern, unnest(items) AS item FROM s) x JOIN o ON o.g = x.g AND o.item = x.item GROUP BY 1, 2)
-SELECT s.g AS start, s.pattern, CAST(len(items) AS INT) AS k, sup, CAST(utility AS BIGINT) AS utility, round(sup * inv / len(items), 6) AS kulc FROM s JOIN i ON s.g = i.g AND s.pattern = i.pattern JOIN t ON t.g = s.g WHERE CAST(utility AS HUGEINT) * 20 >= total AND sup * inv / len(items) >= 0.3 - 1e-9""")
+SELECT s.g AS start, s.pattern, CAST(len(items) AS INT) AS k, sup, CAST(utility AS BIGINT) AS utility, round(sup * inv / len(items) + 1e-12, 6) AS kulc FROM s JOIN i ON s.g = i.g AND s.pattern = i.pattern JOIN t ON t.g = s.g WHERE CAST(utility AS HUGEINT) * 20 >= total AND sup * inv / len(items) >= 0.3 - 1e-9""")
 _add("stream_deduplicated", lambda s, d: streaming.deduplicated(_events(s, d).unionByName(_events(s, d))).select("event_id", "user_id", "event_type"), "SELECT DISTINCT event_id, user_id, event_type " + _ev)
 _add("event_cents_by_type", lambda s, d: _events(s, d).groupBy(F.col("event_type").alias("item")).agg(F.sum(cents("value")).alias("u")), f"SELECT event_type AS item, {_c} AS u FROM events GROUP BY 1")
