@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import all_confidence, coherence, correlation_kind, cosine, kulc, lift, max_confidence, shown
+from ..scratch import written
 from ..types import Basket
 
 #: Sums of utilities; at 100 TB a 64-bit total overflows.
@@ -68,12 +69,17 @@ def rank_items(stats: DataFrame, order: str = "support_asc", most: int | None =
     keys = ORDERS[order]
     if (stats.limit(ONE_SORT + 1).count() if most is None else most) <= ONE_SORT:
         return stats.coalesce(1).withColumn("item_rank", F.row_number().over(Window.orderBy(*keys)))
-    dealt = stats.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("__at", F.monotonically_increasing_id()).checkpoint()
+    dealt = stats.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("__at", F.monotonically_increasing_id())
+    # Written, as places must not change between the two reads.
+    dealt = written(dealt, "ranked")
     part = F.shiftright("__at", 33)
     offsets, seen = [], 0
     for p, n in sorted(tuple(r) for r in dealt.groupBy(part).count().collect()):  # a row for each partition
         offsets.append((p, seen))
         seen += n
+    if not offsets:
+        # None is left to rank, as where no item of many reaches a threshold.
+        return dealt.withColumn("item_rank", F.lit(None).cast("int")).drop("__at")
     start = F.create_map(*(F.lit(x) for pair in offsets for x in pair))
     return dealt.withColumn("item_rank", (start[part] + F.col("__at").bitwiseAND((1 << 33) - 1) + 1).cast("int")).drop("__at")
 
