@@ -9,6 +9,7 @@ from corrutil.types import Basket
 
 QUERIES = {
     "mine_w1": lambda b, u: mine(b, u, "0.05").settled(),
+    "affinity_w1": lambda b, u: baselines.mine_affinity(b, u).settled(),
 }
 
 
