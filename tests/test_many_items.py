@@ -11,6 +11,7 @@ QUERIES = {
     "mine_w1": lambda b, u: mine(b, u, "0.05").settled(),
     "affinity_w1": lambda b, u: baselines.mine_affinity(b, u).settled(),
     "by_chance_w1": lambda b, u: analysis.by_chance(baselines.mine_plain(b, u).settled(), mine(b, u, "0.9").settled()),
+    "class_counts_w1": lambda b, u: analysis.class_counts(b, [u, "0.9"], ["0.01", "0.5"]),
 }
 
 
