@@ -13,6 +13,7 @@ QUERIES = {
     "by_chance_w1": lambda b, u: analysis.by_chance(baselines.mine_plain(b, u).settled(), mine(b, u, "0.9").settled()),
     "class_counts_w1": lambda b, u: analysis.class_counts(b, [u, "0.9"], ["0.01", "0.5"]),
     "grid_counts_w1": lambda b, u: analysis.pattern_counts(b, [u, "0.9"], ["0.01", "0.5"]),
+    "mine_levels_w1": lambda b, u: mine(b, u, "0.05", plan="levels").settled(),
 }
 
 
