@@ -15,6 +15,7 @@ QUERIES = {
     "grid_counts_w1": lambda b, u: analysis.pattern_counts(b, [u, "0.9"], ["0.01", "0.5"]),
     "mine_levels_w1": lambda b, u: mine(b, u, "0.05", plan="levels").settled(),
     "mine_prefix_w1": lambda b, u: mine(b, u, "0.05", plan="prefix").settled(),
+    "plain_w1": lambda b, u: baselines.mine_plain(b, u).settled(),
 }
 
 
