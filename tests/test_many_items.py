@@ -16,6 +16,7 @@ QUERIES = {
     "mine_levels_w1": lambda b, u: mine(b, u, "0.05", plan="levels").settled(),
     "mine_prefix_w1": lambda b, u: mine(b, u, "0.05", plan="prefix").settled(),
     "plain_w1": lambda b, u: baselines.mine_plain(b, u).settled(),
+    "tree_growth_w1": lambda b, u: baselines.mine_tree_growth(b, u).settled(),
 }
 
 
