@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corrutil.llm import decontaminate, packing, quality, similar, suffixdedup
+from corrutil.llm import decontaminate, packing, quality, simhash, similar, suffixdedup
 from corrutil.llm.scratch import written
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -23,11 +23,15 @@ def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group: five-word shingles of a similarity of 0.8 or more; the smallest id stays.
+    """One document of each group; the smallest id stays.
 
+    Texts link if their SimHash fingerprints differ in two bits or fewer, found with pivot tables. Near copies that are further
+    apart than fingerprints can tell are added: five-word shingles of a similarity of 0.8 or more. Groups are joined over both.
     Rows without an id have no place in a group and stay.
     """
-    found = similar.similar_documents(docs, words=5, similarity=0.8, marks=True)
+    prints = simhash.near_duplicates(docs.select(F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("mark"), "text"), id_col="mark")
+    links = written(prints.where("id <> component").select(F.col("id").alias("a"), F.col("component").alias("b")).distinct(), "simhash-links")
+    found = similar.similar_documents(docs, words=5, similarity=0.8, marks=True, links=links)
     leaders = found.where(F.col("id").isNotNull() & (F.col("id") != F.col("component"))).select(F.col("id").alias("doc_id"), "mark").distinct()
     marked = docs.select(*COLUMNS).withColumn("mark", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
     kept = marked.join(leaders, ["doc_id", "mark"], "left_anti")

@@ -238,10 +238,11 @@ def _verified(pairs: DataFrame, marked: DataFrame, words: int, similarity: float
     return links
 
 
-def similar_documents(docs: DataFrame, *, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text", group: int = GROUP, marks: bool = False) -> DataFrame:
+def similar_documents(docs: DataFrame, *, words: int = 5, similarity: float = 0.8, id_col: str = "doc_id", text_col: str = "text", group: int = GROUP, marks: bool = False, links: DataFrame | None = None) -> DataFrame:
     """``id, component``: component is the smallest id of all documents that links of ``similarity`` or more reach.
 
     With ``marks`` also ``mark``, the hash of the row's text: rows that repeat an id may lie in different groups.
+    links: ``a, b``, marks of texts that are known to belong together; pairs within what they join are not compared again.
     """
     bounded_batches(docs.sparkSession)
     id_type = docs.schema[id_col].dataType.simpleString()
@@ -256,6 +257,10 @@ def similar_documents(docs: DataFrame, *, words: int = 5, similarity: float = 0.
 
     hubs = blocks.groupBy("key", "chunk").agg(F.collect_list(F.struct("node", "print")).alias("held")).where("size(held) > 1").select("held")
     first = _verified(hubs.mapInArrow(_hub_pairs, "a bigint, b bigint"), texts_of, words, similarity)
+    if links is not None:
+        # Known links are between texts, those found here between the texts that stand for equal sets.
+        equal = sets.select("mark", "sig").distinct().join(classes.select("sig", "node"), "sig").where("mark <> node").select(F.col("mark").alias("a"), F.col("node").alias("b"))
+        first = first.unionByName(links.select("a", "b")).unionByName(equal)
     now = components(first)
     rooted = blocks.join(now, "node", "left").withColumn("root", F.coalesce("root", "node"))
     open_keys = rooted.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("key")
