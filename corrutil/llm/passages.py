@@ -6,6 +6,10 @@ from the first byte of its first word to the last byte of its last, and equal me
 The word of least hash among the first ``WINDOW`` of a passage is its anchor. Equal
 passages have the same anchor, and the words from there that every passage of the anchor
 holds (its core) are equal too. So only passages of shared cores are hashed one by one, with 128 bits.
+
+Passages in a row with one anchor are a run. A run whose bytes (128-bit hash) occur elsewhere is repeated as a
+whole: it is a span as it stands, and one place of it, the least, stands for all of them in what follows.
+A passage that thousands of texts share so leaves one run of each kind inside, and only the runs at its edges, which differ, are opened.
 """
 
 from __future__ import annotations
@@ -47,7 +51,7 @@ def _passage_anchors(words: int):
     core = words - window + 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        one = _hash("one")
+        one, two = _hash("one"), _hash("two")
         for batch in batches:
             for part in pieces(batch, "text", PART):
                 data, at = raw(part.column("text"))
@@ -66,11 +70,14 @@ def _passage_anchors(words: int):
                     first, last = low[head], low[np.r_[head[1:], True]]
                     a = anchor[first]
                     found = one.span(prefix, start[a], stop[a + core - 1]).view(np.int64)
+                    a, b = start[first], stop[last + words - 1]
+                    x, y = one.span(prefix, a, b).view(np.int64), two.span(two.prefix(data), a, b).view(np.int64)
                 base = np.searchsorted(text, text[first])  # words are numbered within their text
+                begin = at[text[first]]
                 take = pa.array(text[first], pa.int64())
                 yield pa.RecordBatch.from_arrays(
-                    [part.column("doc_id").take(take), part.column("mark").take(take), pa.array((first - base).astype(np.int32)), pa.array((last - base).astype(np.int32)), pa.array(found)],
-                    ["doc_id", "mark", "low", "high", "core"],
+                    [part.column("doc_id").take(take), part.column("mark").take(take), pa.array((first - base).astype(np.int32)), pa.array((last - base).astype(np.int32)), pa.array(found), pa.array((a - begin).astype(np.int32)), pa.array((b - begin).astype(np.int32)), pa.array(x), pa.array(y)],
+                    ["doc_id", "mark", "low", "high", "core", "start", "stop", "x", "y"],
                 )
 
     return run
@@ -87,6 +94,7 @@ def _passages(words: int):
                 flat, edges = wanted.flatten(), wanted.offsets.to_numpy()
                 owner = np.repeat(np.arange(part.num_rows), np.diff(edges))
                 low, high = (flat.field(f).to_numpy().astype(np.int64) + np.searchsorted(text, owner) for f in ("low", "high"))
+                alone = flat.field("alone").to_numpy(zero_copy_only=False).astype(bool)
                 n = high - low + 1
                 first = np.repeat(low - np.r_[0, np.cumsum(n)[:-1]], n) + np.arange(n.sum())
                 a, b, row = start[first], stop[first + words - 1], np.repeat(owner, n)
@@ -94,8 +102,8 @@ def _passages(words: int):
                     x, y = one.span(one.prefix(data), a, b).view(np.int64), two.span(two.prefix(data), a, b).view(np.int64)
                 take = pa.array(row, pa.int64())
                 yield pa.RecordBatch.from_arrays(
-                    [part.column("doc_id").take(take), part.column("mark").take(take), pa.array((a - at[row]).astype(np.int32)), pa.array((b - at[row]).astype(np.int32)), pa.array(x), pa.array(y)],
-                    ["doc_id", "mark", "start", "stop", "x", "y"],
+                    [part.column("doc_id").take(take), part.column("mark").take(take), pa.array((a - at[row]).astype(np.int32)), pa.array((b - at[row]).astype(np.int32)), pa.array(x), pa.array(y), pa.array(np.repeat(alone, n))],
+                    ["doc_id", "mark", "start", "stop", "x", "y", "alone"],
                 )
 
     return run
@@ -106,11 +114,18 @@ def repeated_passages(docs: DataFrame, words: int, *, id_col: str = "doc_id", te
     bounded_batches(docs.sparkSession)
     texts = _keyed_docs(docs, id_col, text_col).where(F.octet_length("text") >= 2 * words - 1)
     who = "doc_id bigint, mark bigint"
-    found = written(texts.mapInArrow(_passage_anchors(words), f"{who}, low int, high int, core bigint"), "passage-anchors")
-    shared = found.groupBy("core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("core")
-    wanted = found.join(shared, "core", "left_semi").groupBy("doc_id", "mark").agg(F.collect_set(F.struct("low", "high")).alias("wanted")).select(F.col("doc_id").alias("d"), F.col("mark").alias("m"), "wanted")
-    asked = texts.join(wanted, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m"))).select("doc_id", "mark", "text", "wanted")
-    strings = written(asked.mapInArrow(_passages(words), f"{who}, start int, stop int, x bigint, y bigint"), "passages")
+    found = written(texts.mapInArrow(_passage_anchors(words), f"{who}, low int, high int, core bigint, start int, stop int, x bigint, y bigint"), "passage-runs")
+    # Copies are counted where they are before they are shuffled.
+    many = found.groupBy("x", "y").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "low")).alias("least")).where("n > 1").select("x", "y", "least")
+    placed = written(found.join(many, ["x", "y"], "left").drop("x", "y"), "placed-runs")
     discard(found)
-    again = strings.groupBy("x", "y").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("x", "y")
-    return strings.join(again, ["x", "y"], "left_semi").select("doc_id", "mark", "start", "stop")
+    whole = placed.where("least IS NOT NULL").select("doc_id", "mark", "start", "stop")
+    stands = F.col("least").isNull() | F.col("least").eqNullSafe(F.struct("doc_id", "mark", "low"))
+    runs = placed.where(stands).select("doc_id", "mark", "low", "high", "core", F.col("least").isNull().alias("alone"))
+    shared = runs.groupBy("core").agg(F.count(F.lit(1)).alias("n"), F.bool_or("alone").alias("open")).where("n > 1 AND open").select("core")
+    wanted = runs.join(shared, "core", "left_semi").groupBy("doc_id", "mark").agg(F.collect_set(F.struct("low", "high", "alone")).alias("wanted")).select(F.col("doc_id").alias("d"), F.col("mark").alias("m"), "wanted")
+    asked = texts.join(wanted, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("mark") == F.col("m"))).select("doc_id", "mark", "text", "wanted")
+    strings = written(asked.mapInArrow(_passages(words), f"{who}, start int, stop int, x bigint, y bigint, alone boolean"), "passages")
+    # A passage of a repeated run stands for more than one place.
+    again = strings.groupBy("x", "y").agg(F.sum(F.when(F.col("alone"), 1).otherwise(2)).alias("n")).where("n > 1").select("x", "y")
+    return whole.unionByName(strings.where("alone").join(again, ["x", "y"], "left_semi").select("doc_id", "mark", "start", "stop"))

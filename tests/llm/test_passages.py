@@ -54,3 +54,24 @@ def test_stage_cuts_short_passages(spark):
     gone = plain(texts, 51)
     want = {i: bytes(b for p, b in enumerate(t.encode()) if p not in gone.get(i, ())).decode() for i, t in texts.items()} | {None: ""}
     assert {r["doc_id"]: r["text"] for r in cp.cut_repeats(spark, spark.createDataFrame(rows, SCHEMA), "").collect()} == want
+
+
+def test_shared_passage_is_opened_at_its_edges(spark, monkeypatch):
+    """Texts that share a long passage: what is hashed passage by passage doesn't grow with its length."""
+    from corrutil.llm import passages
+
+    opened = {}
+
+    def counted(df, name, write=passages.written):
+        out = write(df, name)
+        opened[name] = out.count()
+        return out
+
+    monkeypatch.setattr(passages, "written", counted)
+    shared = prose(500, 600)
+    texts = {i: " ".join(prose(600 + i, 30) + shared + prose(700 + i, 30)) for i in range(12)}
+    got: dict = {}
+    for r in passages.repeated_passages(spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in texts.items()], SCHEMA), 51).collect():
+        got.setdefault(r["doc_id"], set()).update(range(r["start"], r["stop"]))
+    assert got == plain(texts, 51)
+    assert opened["passages"] < 12 * 2 * 110
