@@ -10,6 +10,7 @@ holds (its core) are equal too. So only passages of shared cores are hashed one
 Passages in a row with one anchor are a run. A run whose bytes (128-bit hash) occur elsewhere is repeated as a
 whole: it is a span as it stands, and one place of it, the least, stands for all of them in what follows.
 A passage that thousands of texts share so leaves one run of each kind inside, and only the runs at its edges, which differ, are opened.
+Equal runs of a task's texts are one row where they are found, as a text that repeats itself word by word has a run for each word.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .arrow import bounded_batches, pieces, raw
 from .scratch import discard, written
-from .suffixdedup import PART, _hash, _keyed_docs
+from .suffixdedup import PART, _hash, _keyed_docs, firsts, stretches
 
 #: Share of a passage's words among which its anchor is found.
 WINDOW = 0.6
@@ -72,12 +73,21 @@ def _passage_anchors(words: int):
                     found = one.span(prefix, start[a], stop[a + core - 1]).view(np.int64)
                     a, b = start[first], stop[last + words - 1]
                     x, y = one.span(prefix, a, b).view(np.int64), two.span(two.prefix(data), a, b).view(np.int64)
-                base = np.searchsorted(text, text[first])  # words are numbered within their text
-                begin = at[text[first]]
-                take = pa.array(text[first], pa.int64())
+                same, times = firsts(x, y)
+                mine = same == np.arange(len(x))
+                # The others leave their spans, joined where they follow one another, without hashes.
+                u, v = stretches(np.flatnonzero(~mine), text[first])
+                rows, ends = np.r_[np.flatnonzero(mine), u], np.r_[np.flatnonzero(mine), v]
+                owner = text[first[rows]]
+                base = np.searchsorted(text, owner)  # words are numbered within their text
+                take = pa.array(owner, pa.int64())
+                blank = np.arange(len(rows)) >= mine.sum()
                 yield pa.RecordBatch.from_arrays(
-                    [part.column("doc_id").take(take), part.column("mark").take(take), pa.array((first - base).astype(np.int32)), pa.array((last - base).astype(np.int32)), pa.array(found), pa.array((a - begin).astype(np.int32)), pa.array((b - begin).astype(np.int32)), pa.array(x), pa.array(y)],
-                    ["doc_id", "mark", "low", "high", "core", "start", "stop", "x", "y"],
+                    [
+                        part.column("doc_id").take(take), part.column("mark").take(take), pa.array((first[rows] - base).astype(np.int32)), pa.array((last[ends] - base).astype(np.int32)), pa.array(found[rows]),
+                        pa.array((a[rows] - at[owner]).astype(np.int32)), pa.array((b[ends] - at[owner]).astype(np.int32)), pa.array(x[rows], mask=blank), pa.array(y[rows], mask=blank), pa.array(np.where(blank, 1, times[rows])),
+                    ],
+                    ["doc_id", "mark", "low", "high", "core", "start", "stop", "x", "y", "times"],
                 )
 
     return run
@@ -114,12 +124,14 @@ def repeated_passages(docs: DataFrame, words: int, *, id_col: str = "doc_id", te
     bounded_batches(docs.sparkSession)
     texts = _keyed_docs(docs, id_col, text_col).where(F.octet_length("text") >= 2 * words - 1)
     who = "doc_id bigint, mark bigint"
-    found = written(texts.mapInArrow(_passage_anchors(words), f"{who}, low int, high int, core bigint, start int, stop int, x bigint, y bigint"), "passage-runs")
+    found = written(texts.mapInArrow(_passage_anchors(words), f"{who}, low int, high int, core bigint, start int, stop int, x bigint, y bigint, times bigint"), "passage-runs")
     # Copies are counted where they are before they are shuffled.
-    many = found.groupBy("x", "y").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "low")).alias("least")).where("n > 1").select("x", "y", "least")
-    placed = written(found.join(many, ["x", "y"], "left").drop("x", "y"), "placed-runs")
+    hashed = found.where("x IS NOT NULL")
+    many = hashed.groupBy("x", "y").agg(F.sum("times").alias("n"), F.min(F.struct("doc_id", "mark", "low")).alias("least")).where("n > 1").select("x", "y", "least")
+    placed = written(hashed.join(many, ["x", "y"], "left").drop("x", "y", "times"), "placed-runs")
+    settled = written(found.where("x IS NULL").select("doc_id", "mark", "start", "stop"), "settled-runs")
     discard(found)
-    whole = placed.where("least IS NOT NULL").select("doc_id", "mark", "start", "stop")
+    whole = settled.unionByName(placed.where("least IS NOT NULL").select("doc_id", "mark", "start", "stop"))
     stands = F.col("least").isNull() | F.col("least").eqNullSafe(F.struct("doc_id", "mark", "low"))
     runs = placed.where(stands).select("doc_id", "mark", "low", "high", "core", F.col("least").isNull().alias("alone"))
     shared = runs.groupBy("core").agg(F.count(F.lit(1)).alias("n"), F.bool_or("alone").alias("open")).where("n > 1 AND open").select("core")

@@ -11,7 +11,9 @@ there. ``CORE`` bytes from an anchor on belong to every string that it anchors.
 *Chunks.* Anchors in a row form chunks that end where a core's hash says so (one in ``CHUNK_ANCHORS``),
 so copies of a passage have the same chunks inside. A chunk whose bytes (128-bit hash) occur elsewhere is
 repeated as a whole; only one place of it, the least, keeps its anchors, so what follows
-sees each repeated text once, however many copies there are.
+sees each repeated text once, however many copies there are. A text that repeats itself in short periods has up to
+an anchor for each byte: equal chunks of a task's texts, and equal anchors of a chunk, are one row where they are found,
+and the others only leave the spans that they cover.
 
 *Certified anchors.* An anchor's whole reach (first byte of its first string to last byte
 of its last) repeated elsewhere proves all its strings repeated. Two hashes of 64
@@ -151,8 +153,27 @@ def anchors(data: np.ndarray, at: np.ndarray) -> dict[str, np.ndarray]:
     return {"text": text, "place": place - base, "low": low - base, "high": high - base, "core": core.view(np.int64), "reach": reach.view(np.int64)}
 
 
+def firsts(*keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each row the number of the first row with equal keys, and how many there are."""
+    order = np.lexsort(keys)
+    new = np.r_[True, np.any([k[order][1:] != k[order][:-1] for k in keys], axis=0)]
+    group = np.cumsum(new) - 1
+    first, times = np.empty(len(order), np.int64), np.empty(len(order), np.int64)
+    first[order], times[order] = order[new][group], np.bincount(group)[group]  # a stable sort: the least of equals
+    return first, times
+
+
+def stretches(rows: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First and last row of each stretch of rows that follow one another in a text."""
+    head = np.flatnonzero(np.r_[True, (np.diff(rows) > 1) | (text[rows[1:]] != text[rows[:-1]])]) if len(rows) else rows
+    return rows[head], rows[np.r_[head[1:], len(rows)] - 1] if len(rows) else rows
+
+
 def _chunk_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """A row for each chunk: its two hashes, first and last start of its strings, and its anchors."""
+    """A row for each chunk: its two hashes, first and last start of its strings, its anchors, and the places in these texts it stands for.
+
+    Anchors that stand for others of their chunk are ``many``. Rows without hashes are spans, by first and last start, that are repeated as they stand.
+    """
     one, two = _hash("one"), _hash("two")
     for batch in batches:
         for part in pieces(batch, "text", PART):
@@ -169,12 +190,27 @@ def _chunk_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 base = at[text[head]]
                 a, b = base + low[head], base + high[last] + LENGTH
                 x, y = one.span(one.prefix(data), a, b).view(np.int64), two.span(two.prefix(data), a, b).view(np.int64)
-            take = pa.array(text[head], pa.int64())
-            fields = [pa.array(found[k].astype(np.int32), pa.int32()) for k in ("place", "low", "high")] + [pa.array(found[k], pa.int64()) for k in ("core", "reach")]
-            members = pa.ListArray.from_arrays(pa.array(np.r_[head, n].astype(np.int32)), pa.StructArray.from_arrays(fields, ["place", "low", "high", "core", "reach"]))
+            chunk = np.repeat(np.arange(len(head)), last - head + 1)
+            same, times = firsts(x, y)
+            mine = same == np.arange(len(head))
+            # Equal chunks have equal anchors, so which of them stands for the others changes nothing.
+            least, alike = firsts(chunk, found["core"], found["reach"])
+            stays = np.flatnonzero((least == np.arange(n)) & mine[chunk])
+            settled = [stretches(np.flatnonzero(~mine), text[head]), stretches(np.flatnonzero((alike > 1) & mine[chunk]), text)]
+            begin = np.r_[low[head[settled[0][0]]], low[settled[1][0]]]
+            end = np.r_[high[last[settled[0][1]]], high[settled[1][1]]]
+            owner = np.r_[text[head[mine]], text[head[settled[0][0]]], text[settled[1][0]]]
+            rest = len(begin)
+            take = pa.array(owner, pa.int64())
+            fields = [pa.array(found[k][stays].astype(np.int32), pa.int32()) for k in ("place", "low", "high")] + [pa.array(found[k][stays], pa.int64()) for k in ("core", "reach")] + [pa.array(alike[stays] > 1)]
+            edges = np.r_[0, np.cumsum(np.bincount(chunk[stays], minlength=len(head))[mine])]
+            members = pa.ListArray.from_arrays(pa.array(np.r_[edges, np.full(rest, edges[-1])].astype(np.int32)), pa.StructArray.from_arrays(fields, ["place", "low", "high", "core", "reach", "many"]))
+            blank = pa.nulls(rest, pa.int64())
+            hashes = [pa.concat_arrays([pa.array(k[mine]), blank]) for k in (x, y)]
+            first, final = np.r_[low[head[mine]], begin], np.r_[high[last[mine]], end]
             yield pa.RecordBatch.from_arrays(
-                [part.column("doc_id").take(take), part.column("mark").take(take), pa.array(x), pa.array(y), pa.array(low[head].astype(np.int32)), pa.array(high[last].astype(np.int32)), members],
-                ["doc_id", "mark", "x", "y", "first", "last", "anchors"],
+                [part.column("doc_id").take(take), part.column("mark").take(take), *hashes, pa.array(first.astype(np.int32)), pa.array(final.astype(np.int32)), pa.array(np.r_[times[mine], np.ones(rest, np.int64)]), members],
+                ["doc_id", "mark", "x", "y", "first", "last", "times", "anchors"],
             )
 
 
@@ -376,19 +412,22 @@ def repeated_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     keyed_docs = _keyed_docs(docs, id_col, text_col)
     long = keyed_docs.where(F.octet_length("text") >= LENGTH)
     who = "doc_id bigint, mark bigint"
-    chunks = written(long.mapInArrow(_chunk_rows, f"{who}, x bigint, y bigint, first int, last int, anchors array<struct<place:int,low:int,high:int,core:bigint,reach:bigint>>"), "chunks")
+    chunks = written(long.mapInArrow(_chunk_rows, f"{who}, x bigint, y bigint, first int, last int, times bigint, anchors array<struct<place:int,low:int,high:int,core:bigint,reach:bigint,many:boolean>>"), "chunks")
+    settled = chunks.where("x IS NULL").select("doc_id", "mark", F.col("first").alias("start"), (F.col("last") + LENGTH).alias("stop"))
+    hashed = chunks.where("x IS NOT NULL")
     # Copies are counted where they are before they are shuffled; the least place of a repeated chunk stands for all.
-    again = chunks.groupBy("x", "y").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "mark", "first")).alias("least")).where("n > 1").select("x", "y", "least")
-    placed = chunks.join(again, ["x", "y"], "left")
+    again = hashed.groupBy("x", "y").agg(F.sum("times").alias("n"), F.min(F.struct("doc_id", "mark", "first")).alias("least")).where("n > 1").select("x", "y", "least")
+    placed = hashed.join(again, ["x", "y"], "left")
     mine = F.col("least").isNull() | F.col("least").eqNullSafe(F.struct("doc_id", "mark", "first"))
     found = written(placed.select("doc_id", "mark", "first", "last", F.col("least").isNotNull().alias("repeated"), F.when(mine, F.col("anchors")).alias("anchors")), "anchors")
+    copied = written(settled.unionByName(found.where("repeated").select("doc_id", "mark", F.col("first").alias("start"), (F.col("last") + LENGTH).alias("stop"))), "copied")
     discard(chunks)
-    copied = written(found.where("repeated").select("doc_id", "mark", F.col("first").alias("start"), (F.col("last") + LENGTH).alias("stop")), "copied")
-    each = found.where("anchors IS NOT NULL").select("doc_id", "mark", "repeated", F.explode("anchors").alias("e")).select("doc_id", "mark", "repeated", "e.*")
+    # What stands for more than one place is settled: its own span is among the copied ones.
+    each = found.where("anchors IS NOT NULL").select("doc_id", "mark", "repeated", F.explode("anchors").alias("e")).select("doc_id", "mark", (F.col("repeated") | F.col("e.many")).alias("repeated"), "e.*").drop("many")
     cores = each.groupBy("core").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("core")
     shared = written(each.join(cores, "core", "left_semi"), "shared-anchors")
     discard(found)
-    # An anchor of a repeated chunk stands for more than one place.
+    # An anchor that is settled stands for more than one place.
     reaches = written(shared.groupBy("core", "reach").agg(F.sum(F.when(F.col("repeated"), 2).otherwise(1)).alias("n"), F.min(F.struct("doc_id", "mark", "place", "low", "high")).alias("at")), "reaches")
     certain = written(shared.join(reaches.where("n > 1").select("core", "reach"), ["core", "reach"], "left_semi").select("doc_id", "mark", F.col("low").alias("start"), (F.col("high") + LENGTH).alias("stop")), "certain")
     discard(shared)
