@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .arrow import bounded_batches, pieces, raw
 from .scratch import discard, written
-from .suffixdedup import PART, _hash, _keyed_docs, firsts, stretches
+from .suffixdedup import PART, _hash, _joined, _keyed_docs, firsts, stretches
 
 #: Share of a passage's words among which its anchor is found.
 WINDOW = 0.6
@@ -119,8 +119,24 @@ def _passages(words: int):
     return run
 
 
-def repeated_passages(docs: DataFrame, words: int, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``doc_id, mark, start, stop`` as ``suffixdedup.repeated_spans`` gives them: bytes of passages that occur again."""
+def _stretched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The spans of each text, joined where they overlap or touch."""
+    for batch in batches:
+        spans = batch.column("spans")
+        flat, edges = spans.flatten(), spans.offsets.to_numpy()
+        edges = edges - edges[0]
+        both = np.column_stack([flat.field("start").to_numpy(), flat.field("stop").to_numpy()]).astype(np.int64)
+        rows = [(i, a, b) for i in range(batch.num_rows) for a, b in _joined(both[edges[i] : edges[i + 1]])]
+        owner, start, stop = (list(c) for c in zip(*rows, strict=True)) if rows else ([], [], [])
+        take = pa.array(owner, pa.int64())
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id").take(take), batch.column("mark").take(take), pa.array(start, pa.int32()), pa.array(stop, pa.int32())], ["doc_id", "mark", "start", "stop"])
+
+
+def repeated_passages(docs: DataFrame, words: int, *, id_col: str = "doc_id", text_col: str = "text", settle: bool = False) -> DataFrame:
+    """``doc_id, mark, start, stop`` as ``suffixdedup.repeated_spans`` gives them: bytes of passages that occur again.
+
+    With ``settle`` they are written, stretches joined, and the tables that they come from are freed.
+    """
     bounded_batches(docs.sparkSession)
     texts = _keyed_docs(docs, id_col, text_col).where(F.octet_length("text") >= 2 * words - 1)
     who = "doc_id bigint, mark bigint"
@@ -140,4 +156,9 @@ def repeated_passages(docs: DataFrame, words: int, *, id_col: str = "doc_id", te
     strings = written(asked.mapInArrow(_passages(words), f"{who}, start int, stop int, x bigint, y bigint, alone boolean"), "passages")
     # A passage of a repeated run stands for more than one place.
     again = strings.groupBy("x", "y").agg(F.sum(F.when(F.col("alone"), 1).otherwise(2)).alias("n")).where("n > 1").select("x", "y")
-    return whole.unionByName(strings.where("alone").join(again, ["x", "y"], "left_semi").select("doc_id", "mark", "start", "stop"))
+    spans = whole.unionByName(strings.where("alone").join(again, ["x", "y"], "left_semi").select("doc_id", "mark", "start", "stop"))
+    if not settle:
+        return spans
+    joined = written(spans.groupBy("doc_id", "mark").agg(F.collect_set(F.struct("start", "stop")).alias("spans")).mapInArrow(_stretched, f"{who}, start int, stop int"), "passage-spans")
+    discard(placed, settled, strings)
+    return joined

@@ -463,7 +463,7 @@ def _joined(spans: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(spans[np.r_[0, cut], 0].tolist(), reach[np.r_[cut - 1, len(spans) - 1]].tolist(), strict=True))
 
 
-def _remove(keep: list[str], digest: bool):
+def _remove(keep: list[str], digest: bool, noted: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in pieces(batch, "text", PART):
@@ -473,43 +473,57 @@ def _remove(keep: list[str], digest: bool):
                 flat, edges, empty = spans.flatten(), spans.offsets.to_numpy(), spans.is_null().to_numpy(zero_copy_only=False)
                 edges = edges - edges[0]
                 both = np.column_stack([flat.field("start").to_numpy(), flat.field("stop").to_numpy()]).astype(np.int64) if len(flat) else np.zeros((0, 2), np.int64)
+                only = flat.field("noted").to_numpy(zero_copy_only=False).astype(bool) if noted else np.zeros(len(flat), bool)
                 rows = []
                 for i in range(part.num_rows):
                     body = whole[at[i] : at[i + 1]]
-                    mine = both[edges[i] : edges[i + 1]] if not empty[i] else both[:0]
+                    at_hand = slice(edges[i], edges[i + 1]) if not empty[i] else slice(0)
+                    mine, beside = both[at_hand][~only[at_hand]], both[at_hand][only[at_hand]]
                     runs = _joined(mine) if len(mine) else []
                     cuts = [0, *(x for r in runs for x in r), len(body)]
                     left = b"".join(body[a:b] for a, b in zip(cuts[::2], cuts[1::2], strict=True))
-                    rows.append((len(body), len(body) - len(left), len(runs), hashlib.sha256(left).hexdigest() if digest else left.decode("utf-8", "ignore"), left.decode("utf-8", "ignore") if digest else None))
-                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-                columns = [pa.array(c, t) for c, t in zip(list(zip(*rows, strict=True)) or [[]] * 5, kinds, strict=True)]
-                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keep), *(columns if digest else columns[:4])], [*keep, "n_bytes", "n_removed", "n_spans", "kept", *(["rest"] if digest else [])])
+                    rows.append((len(body), len(body) - len(left), len(runs), hashlib.sha256(left).hexdigest() if digest else left.decode("utf-8", "ignore"), left.decode("utf-8", "ignore") if digest else None, sum(b - a for a, b in _joined(beside)) if len(beside) else 0))
+                names = ["n_bytes", "n_removed", "n_spans", "kept", "rest", "noted"]
+                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()]
+                columns = {n: pa.array(c, t) for n, c, t in zip(names, list(zip(*rows, strict=True)) or [[]] * 6, kinds, strict=True)}
+                wanted = [*names[:4], *(["rest"] if digest else []), *(["noted"] if noted else [])]
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keep), *(columns[n] for n in wanted)], [*keep, *wanted])
 
     return run
 
 
-def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", digest: bool = False, crowd: int = CROWD, words: int | None = None) -> DataFrame:
+def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", digest: bool = False, crowd: int = CROWD, words: int | None = None, note_words: int | None = None) -> DataFrame:
     """All columns of ``docs`` but the text, ``n_bytes, n_removed, n_spans`` and ``kept``: the bytes left, as text or, with ``digest``, SHA-256.
 
     With ``digest`` the text follows with what is left of it. As text, characters that a removed span cuts in two are dropped. With ``words``, repeated
-    passages of so many words go too, also those shorter than ``LENGTH``.
+    passages of so many words go too, also those shorter than ``LENGTH``. With ``note_words`` such passages change nothing of this and are counted:
+    ``n_passage_bytes``, the bytes of the text that lie in one, removed or not.
     """
+    if note_words is not None:
+        from .passages import repeated_passages
+
+        # First, so that nothing of it but its spans is there beside the tables of the suffixes.
+        noted = repeated_passages(docs, note_words, id_col=id_col, text_col=text_col, settle=True)
     spans = repeated_spans(docs, id_col=id_col, text_col=text_col, crowd=crowd)
     if words is not None:
         from .passages import repeated_passages
 
         spans = spans.unionByName(repeated_passages(docs, words, id_col=id_col, text_col=text_col))
-    by_doc = spans.groupBy("doc_id", "mark").agg(F.collect_set(F.struct("start", "stop")).alias("spans")).withColumnRenamed("doc_id", "__d").withColumnRenamed("mark", "__m")
+    if note_words is not None:
+        spans = spans.withColumn("noted", F.lit(False)).unionByName(noted.withColumn("noted", F.lit(True)))
+    by_doc = spans.groupBy("doc_id", "mark").agg(F.collect_set(F.struct(*(c for c in spans.columns if c not in ("doc_id", "mark")))).alias("spans")).withColumnRenamed("doc_id", "__d").withColumnRenamed("mark", "__m")
     keep = [c for c in docs.columns if c != text_col]
     rows = docs.select(*(F.col(c).alias(f"k_{i}") for i, c in enumerate(keep)), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"), F.col(id_col).cast("bigint").alias("__id")).withColumn("mark", F.xxhash64("text"))
     names = [f"k_{i}" for i in range(len(keep))]
     joined = rows.join(by_doc, F.col("__id").eqNullSafe(F.col("__d")) & (F.col("mark") == F.col("__m")), "left").select(*names, "text", "spans")
     schema = "".join(f"k_{i} {docs.schema[c].dataType.simpleString()}, " for i, c in enumerate(keep))
-    out = joined.mapInArrow(_remove(names, digest), f"{schema}n_bytes bigint, n_removed bigint, n_spans bigint, kept string" + (", rest string" if digest else ""))
-    more = [F.col("rest").alias(text_col)] if digest else []
+    extra = (", rest string" if digest else "") + (", noted bigint" if note_words is not None else "")
+    out = joined.mapInArrow(_remove(names, digest, note_words is not None), f"{schema}n_bytes bigint, n_removed bigint, n_spans bigint, kept string{extra}")
+    more = ([F.col("rest").alias(text_col)] if digest else []) + ([F.col("noted").alias("n_passage_bytes")] if note_words is not None else [])
     return out.select(*(F.col(n).alias(c) for n, c in zip(names, keep, strict=True)), "n_bytes", "n_removed", "n_spans", "kept", *more)
 
 
 def op4_suffix_dedup(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    return remove_repeats(docs, digest=True).withColumnRenamed("kept", "kept_sha256")
+    # Passages of over 50 words are mostly shorter than LENGTH: what is removed does not show them.
+    return remove_repeats(docs, digest=True, note_words=51).withColumnRenamed("kept", "kept_sha256")
